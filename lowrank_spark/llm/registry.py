@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+from lowrank_spark.llm import curriculum, quality_rules
 from lowrank_spark.llm.byte_bpe import op6_byte_bpe
+from lowrank_spark.llm.curriculum import op8_mixing
+from lowrank_spark.llm.quality_rules import op2_quality_rules
+from lowrank_spark.llm.shard_table import op9_sharding
 
 
 def queries() -> dict:
-    return {"op6_byte_bpe": op6_byte_bpe}
+    return {f.__name__: f for f in (op2_quality_rules, op6_byte_bpe, op8_mixing, op9_sharding)}
 
 
 def oracle_sql() -> dict:
-    return {}
+    return {"op2_quality_rules": quality_rules.SQL, "op8_mixing": curriculum.SQL}

@@ -1,7 +1,7 @@
 """Byte-level BPE with a hierarchical-bitmap rank queue.
 
 A pre-token is a linked list of symbols. Every adjacent pair that has a merge rank sits in the bucket of that rank;
-a three-level bitmap says which buckets hold something, so the next rank is three find-first-set steps away whatever
+a two-level bitmap says which buckets hold something, so the next rank is two find-first-set steps away whatever
 the length of the pre-token. Entries are never removed when a neighbour changes: a popped position whose current
 rank differs from its bucket's is stale and skipped. Work is near linear in the pre-token, so texts without any
 white space cost the same per byte as ordinary prose.
@@ -23,8 +23,10 @@ from pyspark.sql import types as T
 
 from lowrank_spark.runtime import ship_package
 
-#: Pre-tokens remembered by one worker before its memo starts anew (a memo only: results do not depend on it).
-MEMO = 150_000
+#: Entries of each memo of a worker before the memo starts anew (memos only: results do not depend on them).
+MEMO = 300_000
+#: Characters that count as white space for some engine; beside a space they rule out the cut at spaces.
+_BLANKS = "\t\n\x0b\x0c\r\x1c\x1d\x1e\x1f\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000 "
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -33,49 +35,49 @@ def load_ranks(path: str) -> dict[bytes, int]:
 
 
 class RankQueue:
-    """Buckets of positions by merge rank under a bitmap of 64-way words."""
+    """Buckets of positions by merge rank; a bitmap of 256-way words, and one word over those, says which are filled.
+
+    A bucket is None, one position, or a heap of positions. `merge` of ByteBpe works on these fields directly.
+    """
+
+    WAYS = 8
 
     def __init__(self, n_ranks: int):
-        words = (n_ranks >> 6) + 1
-        self.leaf = [0] * words
-        self.mid = [0] * ((words >> 6) + 1)
+        self.leaf = [0] * ((n_ranks >> self.WAYS) + 1)
         self.top = 0
-        self.buckets: list[list[int] | None] = [None] * n_ranks
+        self.buckets: list[None | int | list[int]] = [None] * n_ranks
 
     def push(self, rank: int, pos: int) -> None:
         b = self.buckets[rank]
-        if b:
+        if b is None:
+            self.buckets[rank] = pos
+            self.leaf[rank >> 8] |= 1 << (rank & 255)
+            self.top |= 1 << (rank >> 8)
+        elif b.__class__ is list:
             heapq.heappush(b, pos)
-            return
-        self.buckets[rank] = [pos]
-        w = rank >> 6
-        self.leaf[w] |= 1 << (rank & 63)
-        self.mid[w >> 6] |= 1 << (w & 63)
-        self.top |= 1 << (w >> 6)
+        else:
+            self.buckets[rank] = [b, pos] if b <= pos else [pos, b]
 
     def pop(self) -> tuple[int, int] | None:
         """The lowest rank's leftmost position, or None when nothing is left."""
         t = self.top
         if not t:
             return None
-        m = (t & -t).bit_length() - 1
-        x = self.mid[m]
-        w = (m << 6) | ((x & -x).bit_length() - 1)
+        w = (t & -t).bit_length() - 1
         y = self.leaf[w]
-        rank = (w << 6) | ((y & -y).bit_length() - 1)
+        rank = (w << 8) | ((y & -y).bit_length() - 1)
         b = self.buckets[rank]
-        if len(b) > 1:
-            return rank, heapq.heappop(b)
-        pos = b[0]
+        if b.__class__ is list:
+            pos = heapq.heappop(b)
+            if len(b) == 1:
+                self.buckets[rank] = b[0]
+            return rank, pos
         self.buckets[rank] = None
         y &= y - 1
         self.leaf[w] = y
         if not y:
-            x &= x - 1
-            self.mid[m] = x
-            if not x:
-                self.top = t & (t - 1)
-        return rank, pos
+            self.top = t & (t - 1)
+        return rank, b
 
 
 class ByteBpe:
@@ -86,81 +88,151 @@ class ByteBpe:
 
         self.ranks = ranks
         self.find = regex.compile(pattern).findall
-        self.queue = RankQueue(max(ranks.values(), default=0) + 1)
+        n = max(ranks.values(), default=0) + 1
+        self.queue = RankQueue(n)
+        self.bits = [1 << i for i in range(256)]
         self.table = {i: b for b, i in ranks.items()}
-        self.memo: dict[str, tuple[tuple[int, ...], str]] = {}
+        self.names = [str(i) for i in range(n)]
+        self.single = [ranks.get(bytes([i])) for i in range(256)]
+        self.pairs: dict[int, int] = {}
+        for token, r in ranks.items():
+            for cut in range(1, len(token)):
+                a, b = ranks.get(token[:cut]), ranks.get(token[cut:])
+                if a is not None and b is not None:
+                    self.pairs[a << 24 | b] = r
+        self.piece_memo: dict[str, tuple[int, ...]] = {}
+        self.chunk_memo: dict[str, tuple[int, ...]] = {}
+        # the cut at spaces holds for patterns that take at most one space, and only before other characters
+        self.cuts = " ?" in pattern
 
     def merge(self, piece: bytes) -> tuple[int, ...]:
-        """Ids of one pre-token."""
-        get = self.ranks.get
-        whole = get(piece)
+        """Ids of one pre-token. The queue's push and pop are written out here: this is the inner loop."""
+        whole = self.ranks.get(piece)
         if whole is not None:
             return (whole,)
-        n = len(piece)
-        push, pop = self.queue.push, self.queue.pop
-        nxt = list(range(1, n + 1))  # start of the following symbol; n ends the list
-        prv = list(range(-1, n - 1))
+        pair, bits = self.pairs.get, self.bits
+        leaf, buckets, top = self.queue.leaf, self.queue.buckets, 0
+        ids = [self.single[c] for c in piece]
+        n = len(ids)
         at = [-1] * n  # rank of the pair that starts here
         for i in range(n - 1):
-            r = get(piece[i : i + 2])
+            r = pair(ids[i] << 24 | ids[i + 1])
             if r is not None:
                 at[i] = r
-                push(r, i)
-        while (e := pop()) is not None:
-            rank, i = e
-            if at[i] != rank:
+                q = buckets[r]
+                if q is None:
+                    buckets[r] = i
+                    g = r >> 8
+                    leaf[g] |= bits[r & 255]
+                    top |= bits[g] if g < 256 else 1 << g
+                elif q.__class__ is list:
+                    heapq.heappush(q, i)
+                else:
+                    buckets[r] = [q, i]
+        if not top:
+            return tuple(ids)
+        nxt = list(range(1, n + 1))  # start of the following symbol; n ends the list
+        prv = list(range(-1, n - 1))
+        while top:
+            g = (top & -top).bit_length() - 1
+            y = leaf[g]
+            low = y & -y
+            r = (g << 8) | (low.bit_length() - 1)
+            q = buckets[r]
+            if q.__class__ is list:
+                i = heapq.heappop(q)
+                if len(q) == 1:
+                    buckets[r] = q[0]
+            else:
+                i = q
+                buckets[r] = None
+                y ^= low
+                leaf[g] = y
+                if not y:
+                    top &= top - 1
+            if at[i] != r:
                 continue  # stale: a neighbour has merged since
             j = nxt[i]
             k = nxt[j]
             nxt[i] = k
-            at[j] = -1
+            ids[i] = r
+            at[j] = ids[j] = -1
+            h = prv[i]
             if k < n:
                 prv[k] = i
-                r = get(piece[i : nxt[k]])
-                if r is not None:
-                    at[i] = r
-                    push(r, i)
-                else:
-                    at[i] = -1
+                v = pair(r << 24 | ids[k])
             else:
-                at[i] = -1
-            h = prv[i]
-            if h >= 0:
-                r = get(piece[h:k])
-                if r is not None:
-                    if at[h] != r:
-                        at[h] = r
-                        push(r, h)
-                else:
-                    at[h] = -1
-        out, i = [], 0
-        while i < n:
-            out.append(self.ranks[piece[i : nxt[i]]])
-            i = nxt[i]
-        return tuple(out)
-
-    def pieces(self, text: str) -> list[tuple[tuple[int, ...], str]]:
-        """(ids, ids as text) of every pre-token."""
-        memo, out = self.memo, []
-        add = out.append
+                v = None
+            for pos, v in ((i, v), (h, pair(ids[h] << 24 | r) if h >= 0 else None)):
+                if v is None:
+                    if pos >= 0:
+                        at[pos] = -1
+                elif at[pos] != v:
+                    at[pos] = v
+                    q = buckets[v]
+                    if q is None:
+                        buckets[v] = pos
+                        g = v >> 8
+                        leaf[g] |= bits[v & 255]
+                        top |= bits[g] if g < 256 else 1 << g
+                    elif q.__class__ is list:
+                        heapq.heappush(q, pos)
+                    else:
+                        buckets[v] = [q, pos] if q < pos else [pos, q]
+        return tuple([x for x in ids if x >= 0])
+
+    def _pieces(self, text: str) -> list[int]:
+        memo, out = self.piece_memo, []
         for p in self.find(text):
-            hit = memo.get(p)
-            if hit is None:
-                if len(memo) >= MEMO:
-                    memo.clear()
+            ids = memo.get(p)
+            if ids is None:
                 ids = self.merge(p.encode("utf-8", "surrogatepass"))
-                hit = (ids, " ".join(map(str, ids)))
                 if len(p) <= 64:
-                    memo[p] = hit
-            add(hit)
+                    if len(memo) >= MEMO:
+                        memo.clear()
+                    memo[p] = ids
+            out += ids
         return out
 
     def encode(self, text: str) -> list[int]:
-        return [i for ids, _ in self.pieces(text) for i in ids]
+        """Ids of a text.
+
+        Where a single space stands between two characters that are no white space, a pre-token starts at the space
+        whatever comes before, so the parts between such spaces can be encoded, and remembered, on their own.
+        """
+        if not self.cuts or any(f" {b}" in text or f"{b} " in text for b in (_BLANKS[:9] + " " if text.isascii() else _BLANKS)):
+            return self._pieces(text)
+        memo, out = self.chunk_memo, []
+        chunks = text.split(" ")
+        out = self._pieces(chunks[0])
+        get = memo.get
+        for c in chunks[1:]:
+            ids = get(c)
+            if ids is None:
+                ids = tuple(self._pieces(" " + c))
+                if len(c) <= 64:
+                    if len(memo) >= MEMO:
+                        memo.clear()
+                    memo[c] = ids
+            out += ids
+        return out
 
     def decode(self, ids) -> bytes:
         return b"".join(map(self.table.__getitem__, ids))
 
+    def id_text(self, ids) -> str:
+        return " ".join(map(self.names.__getitem__, ids))
+
+
+_LIVE: dict[tuple[str, str], ByteBpe] = {}
+
+
+def live(vocab_path: str, pattern: str) -> ByteBpe:
+    """This process's encoder: its tables and memos outlive a task."""
+    if (vocab_path, pattern) not in _LIVE:
+        _LIVE[vocab_path, pattern] = ByteBpe(load_ranks(vocab_path), pattern)
+    return _LIVE[vocab_path, pattern]
+
 
 FIELDS = {
     "token_ids": (pa.list_(pa.int32()), T.ArrayType(T.IntegerType())),
@@ -181,14 +253,13 @@ def encode_documents(docs: DataFrame, vocab_path: str, pattern: str, outputs: li
     schema = T.StructType([docs.schema[c] for c in carry] + [T.StructField(o, FIELDS[o][1]) for o in outputs])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bpe = ByteBpe(load_ranks(vocab_path), pattern)
+        bpe = live(vocab_path, pattern)
         need_text = "decoded_text" in outputs
         for batch in batches:
             cols = {o: [] for o in outputs}
             texts = batch.column(len(carry))
             for v in texts:
-                pieces = bpe.pieces(v.as_py() or "")
-                ids = [i for p, _ in pieces for i in p]
+                ids = bpe.encode(v.as_py() or "")
                 raw = bpe.decode(ids) if need_text or "decoded_sha256" in cols else b""
                 for o, c in cols.items():
                     if o == "token_ids":
@@ -196,7 +267,7 @@ def encode_documents(docs: DataFrame, vocab_path: str, pattern: str, outputs: li
                     elif o == "n_tokens":
                         c.append(len(ids))
                     elif o == "ids_sha256":
-                        c.append(hashlib.sha256(" ".join([s for _, s in pieces]).encode()).hexdigest())
+                        c.append(hashlib.sha256(bpe.id_text(ids).encode()).hexdigest())
                     elif o == "decoded_text":
                         c.append(raw.decode("utf-8", "replace"))
                     else:

@@ -34,6 +34,8 @@ def test_matches_tiktoken(enc):
     rng = random.Random(1)
     texts = ["", " ", "Hello  world\n\n", "a" * 5000, "éàü" * 700, "x1y2" * 400, "\x00\x7f", "日本語" * 90, "<|endoftext|>"]
     texts += ["".join(rng.choice("abcdefgh éß1 \n#") for _ in range(rng.randrange(1, 400))) for _ in range(300)]
+    texts += ["".join(rng.choice("ab c  \n\t'sé\x1c\x1f\x85\xa0\u3000\u200b1²") for _ in range(rng.randrange(1, 60))) for _ in range(3000)]
+    texts += [chr(c) + " " + chr(c) + "x y" + chr(c) for c in range(0x3100) if not 0xD800 <= c < 0xE000]
     for t in texts:
         assert bpe.encode(t) == ref.encode_ordinary(t), t[:50]
         assert bpe.decode(bpe.encode(t)) == t.encode()

@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
-from lowrank_spark.llm import curriculum, quality_rules
+from lowrank_spark.llm import curriculum, minhash_dedup, quality_rules
 from lowrank_spark.llm.byte_bpe import op6_byte_bpe
 from lowrank_spark.llm.curriculum import op8_mixing
+from lowrank_spark.llm.fuzzy_lines import op5_fuzzy_lines
+from lowrank_spark.llm.minhash_dedup import op1_minhash
 from lowrank_spark.llm.quality_rules import op2_quality_rules
 from lowrank_spark.llm.shard_table import op9_sharding
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op2_quality_rules, op6_byte_bpe, op8_mixing, op9_sharding)}
+    return {f.__name__: f for f in (op1_minhash, op2_quality_rules, op5_fuzzy_lines, op6_byte_bpe, op8_mixing, op9_sharding)}
 
 
 def oracle_sql() -> dict:
-    return {"op2_quality_rules": quality_rules.SQL, "op8_mixing": curriculum.SQL}
+    return {"op1_minhash": minhash_dedup.SQL, "op2_quality_rules": quality_rules.SQL, "op8_mixing": curriculum.SQL}

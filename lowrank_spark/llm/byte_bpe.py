@@ -24,7 +24,7 @@ from pyspark.sql import types as T
 from lowrank_spark.runtime import ship_package
 
 #: Entries of each memo of a worker before the memo starts anew (memos only: results do not depend on them).
-MEMO = 300_000
+MEMO = 1_000_000
 #: Characters that count as white space for some engine; beside a space they rule out the cut at spaces.
 _BLANKS = "\t\n\x0b\x0c\r\x1c\x1d\x1e\x1f\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000 "
 
@@ -90,7 +90,7 @@ class ByteBpe:
         self.find = regex.compile(pattern).findall
         n = max(ranks.values(), default=0) + 1
         self.queue = RankQueue(n)
-        self.bits = [1 << i for i in range(256)]
+        self.bits = [1 << i for i in range(max(256, (n >> 8) + 1))]
         self.table = {i: b for b, i in ranks.items()}
         self.names = [str(i) for i in range(n)]
         self.single = [ranks.get(bytes([i])) for i in range(256)]
@@ -124,7 +124,7 @@ class ByteBpe:
                     buckets[r] = i
                     g = r >> 8
                     leaf[g] |= bits[r & 255]
-                    top |= bits[g] if g < 256 else 1 << g
+                    top |= bits[g]
                 elif q.__class__ is list:
                     heapq.heappush(q, i)
                 else:
@@ -158,27 +158,38 @@ class ByteBpe:
             ids[i] = r
             at[j] = ids[j] = -1
             h = prv[i]
+            at[i] = -1
             if k < n:
                 prv[k] = i
                 v = pair(r << 24 | ids[k])
-            else:
-                v = None
-            for pos, v in ((i, v), (h, pair(ids[h] << 24 | r) if h >= 0 else None)):
+                if v is not None:
+                    at[i] = v
+                    q = buckets[v]
+                    if q is None:
+                        buckets[v] = i
+                        g = v >> 8
+                        leaf[g] |= bits[v & 255]
+                        top |= bits[g]
+                    elif q.__class__ is list:
+                        heapq.heappush(q, i)
+                    else:
+                        buckets[v] = [q, i] if q < i else [i, q]
+            if h >= 0:
+                v = pair(ids[h] << 24 | r)
                 if v is None:
-                    if pos >= 0:
-                        at[pos] = -1
-                elif at[pos] != v:
-                    at[pos] = v
+                    at[h] = -1
+                elif at[h] != v:
+                    at[h] = v
                     q = buckets[v]
                     if q is None:
-                        buckets[v] = pos
+                        buckets[v] = h
                         g = v >> 8
                         leaf[g] |= bits[v & 255]
-                        top |= bits[g] if g < 256 else 1 << g
+                        top |= bits[g]
                     elif q.__class__ is list:
-                        heapq.heappush(q, pos)
+                        heapq.heappush(q, h)
                     else:
-                        buckets[v] = [q, pos] if q < pos else [pos, q]
+                        buckets[v] = [q, h] if q < h else [h, q]
         return tuple([x for x in ids if x >= 0])
 
     def _pieces(self, text: str) -> list[int]:

@@ -11,10 +11,11 @@ from lowrank_spark.llm.license_markup import op4_license_markup
 from lowrank_spark.llm.quality_rules import op2_quality_rules
 from lowrank_spark.llm.secret_owners import op3_secret_owners
 from lowrank_spark.llm.shard_table import op9_sharding
+from lowrank_spark.llm.toxic_compression import op7_toxic_compression
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_minhash, op2_quality_rules, op3_secret_owners, op4_license_markup, op5_fuzzy_lines, op6_byte_bpe, op8_mixing, op9_sharding)}
+    return {f.__name__: f for f in (op1_minhash, op2_quality_rules, op3_secret_owners, op4_license_markup, op5_fuzzy_lines, op6_byte_bpe, op7_toxic_compression, op8_mixing, op9_sharding)}
 
 
 def oracle_sql() -> dict:

@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from lowrank_spark.config import HashConfig
 from lowrank_spark.functions.hashing import md5_int, text
 from lowrank_spark.operators import signhash
+from lowrank_spark.runtime import Scratch
 
 
 def keys(code_rows: DataFrame, p: int, g: int = 8) -> DataFrame:
@@ -61,6 +62,7 @@ def fill_random(top: DataFrame, universe: DataFrame, k: int, seed: int = 7, trie
     universe: (j, id) with dense ids. Candidate t of column j is the column whose id is a hash of (seed, j, t) modulo
     their number; the first suitable ones fill up. No random order, no per-row random access: one equi-join on ids.
     """
+    top = Scratch(top.sparkSession, "top").keep(top.select("j", "nbr", "freq", "k"))
     n = universe.count()
     tries = tries or 2 * k + 8
     have = top.groupBy("j").agg(F.count(F.lit(1)).alias("have"))
@@ -81,7 +83,8 @@ def universe_of(im: DataFrame) -> DataFrame:
 
 
 def search_codes(code_rows: DataFrame, cfg: HashConfig) -> DataFrame:
-    return topk(pairs(refine(keys(code_rows, cfg.p, cfg.G), cfg.max_bucket)), cfg.K)
+    kept = Scratch(code_rows.sparkSession, "band").keep(keys(code_rows, cfg.p, cfg.G))
+    return topk(pairs(refine(kept, cfg.max_bucket)), cfg.K)
 
 
 def band_search(im: DataFrame, cfg: HashConfig, fill: str = "random") -> DataFrame:

@@ -99,38 +99,72 @@ def signed_sums(signs: np.ndarray, weights: np.ndarray) -> np.ndarray:
     return weights @ signs
 
 
-def accumulate_gathered(im: DataFrame, cfg: HashConfig) -> DataFrame:
-    """(j, sums array<double> of p*q*G lanes). A column's rows stream through in batches: a heavy column is never held whole."""
+_STREAMS: dict[tuple[int, int], SignStream] = {}
+
+
+def _stream(seed: int, lanes: int) -> SignStream:
+    if (seed, lanes) not in _STREAMS:
+        _STREAMS.clear()
+        _STREAMS[seed, lanes] = SignStream(seed, lanes)
+    return _STREAMS[seed, lanes]
+
+
+def pack(sums: np.ndarray, g: int) -> np.ndarray:
+    """Codes of g bits from sums (columns x lanes)."""
+    bits = (sums >= 0).reshape(len(sums), -1, g)
+    return (bits * (1 << np.arange(g, dtype=np.int64))).sum(axis=2)
+
+
+def accumulate_gathered(im: DataFrame, cfg: HashConfig, out: str = "sums") -> DataFrame:
+    """(j, sums array<double>) of p*q*G lanes, or (j, codes array<long>) with out='codes'.
+
+    Entries are dealt by j and stream through in order of j; a column's partial sum is carried from batch to batch, so
+    neither a heavy column nor many light ones cost more than the batch in hand.
+    """
     if cfg.family != "portable":
         raise ValueError("the gathered form uses the portable family")
     ship_package(im.sparkSession)
-    lanes, seed = cfg.reps * cfg.G, cfg.seed
+    lanes, seed, g = cfg.reps * cfg.G, cfg.seed, cfg.G
     x = im.select("j", F.col("i").cast("string").alias("i"), weight(cfg.psi, F.col("r")).cast("double").alias("w"))
     jt = x.schema["j"].dataType.simpleString()
 
-    def run(key, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        stream, total, last = SignStream(seed, lanes), np.zeros(lanes), None
-        for b in batches:
-            last = b.column(0).slice(0, 1)
-            w = b.column(2).to_numpy()
-            total += signed_sums(np.stack([stream.of(i) for i in b.column(1).to_pylist()]), w)
-        if last is not None:
-            yield pa.RecordBatch.from_arrays([last, pa.array([total.tolist()], pa.list_(pa.float64()))], names=["j", "sums"])
-
-    return x.groupBy("j").applyInArrow(run, f"j {jt}, sums array<double>")
+    def emit(js, sums, jtype):
+        m = np.array(sums).reshape(len(js), lanes)
+        v = pa.array(list(m), pa.list_(pa.float64())) if out == "sums" else pa.array(list(pack(m, g)), pa.list_(pa.int64()))
+        return pa.RecordBatch.from_arrays([pa.array(js, jtype), v], names=["j", out])
 
-
-def packed_codes(sums: DataFrame, cfg: HashConfig) -> DataFrame:
-    """(j, codes array<long>): p*q codes of G bits."""
-    one = lambda rep: F.aggregate(F.sequence(F.lit(0), F.lit(cfg.G - 1)), F.lit(0).cast("long"), lambda a, g: a + F.when(F.get(F.col("sums"), (rep * cfg.G + g).cast("int")) >= 0, F.expr("1L") * F.pow(F.lit(2), g).cast("long")).otherwise(F.lit(0).cast("long")))
-    return sums.select("j", F.transform(F.sequence(F.lit(0), F.lit(cfg.reps - 1)), one).alias("codes"))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        stream = _stream(seed, lanes)
+        now, total, jtype = None, None, None
+        for b in batches:
+            jtype = b.column(0).type
+            js, rows, w = b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_numpy()
+            done_j, done_s = [], []
+            for lo in range(0, len(js), 1000):
+                part = js[lo : lo + 1000]
+                signed = np.stack([stream.of(i) for i in rows[lo : lo + 1000]]) * w[lo : lo + 1000, None]
+                cuts = [0] + [n for n in range(1, len(part)) if part[n] != part[n - 1]]
+                for j, s in zip([part[n] for n in cuts], np.add.reduceat(signed, cuts, axis=0), strict=True):
+                    if total is not None and j == now:
+                        total = total + s
+                        continue
+                    if total is not None:
+                        done_j.append(now)
+                        done_s.append(total)
+                    now, total = j, s
+            if done_j:
+                yield emit(done_j, done_s, jtype)
+        if total is not None:
+            yield emit([now], [total], jtype)
+
+    return x.repartition("j").sortWithinPartitions("j").mapInArrow(run, f"j {jt}, {out} array<{'double' if out == 'sums' else 'bigint'}>")
 
 
 def code_table(im: DataFrame, cfg: HashConfig) -> DataFrame:
     """(j, rep, code) by the form that fits the number of repetitions."""
     if cfg.reps <= 16 or cfg.family != "portable":
         return codes(accumulate(im, cfg), cfg.G)
-    return packed_codes(accumulate_gathered(im, cfg), cfg).select("j", F.posexplode("codes").alias("rep", "code")).select("j", F.col("rep").cast("long").alias("rep"), "code")
+    return accumulate_gathered(im, cfg, "codes").select("j", F.posexplode("codes").alias("rep", "code")).select("j", F.col("rep").cast("long").alias("rep"), "code")
 
 
 def hash_of_example(values, bits) -> tuple[list[float], list[int]]:
@@ -140,4 +174,4 @@ def hash_of_example(values, bits) -> tuple[list[float], list[int]]:
     return sums.tolist(), [int(s >= 0) for s in sums]
 
 
-__all__ = ["PSI", "SignStream", "accumulate", "accumulate_gathered", "code_table", "codes", "hash_of_example", "packed_codes", "row_signs", "sign_byte", "signed_sums", "weight"]
+__all__ = ["PSI", "SignStream", "accumulate", "accumulate_gathered", "code_table", "codes", "hash_of_example", "pack", "row_signs", "sign_byte", "signed_sums", "weight"]

@@ -20,6 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from lowrank_spark.functions.staging import once
 from lowrank_spark.llm.quality_rules import words_of
 from lowrank_spark.runtime import Scratch, maybe_broadcast
 
@@ -94,12 +95,8 @@ def mix(docs: DataFrame, carry: list[str] = ("doc_id",), text_col: str = "text",
     """carry + size, source_size, target, taken, n_copies, places (training position of each copy)."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "mix")
-    d = docs.select(
-        *[F.col(c).alias(f"c_{c}") for c in carry],
-        F.col(source_col).alias("source"),
-        F.size(words_of(F.coalesce(F.col(text_col), F.lit("")))).cast("long").alias("size"),
-        order_key(F.col(id_col), F.col(text_col)).alias("key"),
-    )
+    d = docs.select(*[F.col(c).alias(f"c_{c}") for c in carry], F.col(source_col).alias("source"), F.col(text_col).alias("_text"), F.col(id_col).alias("_id"))
+    d = once(d, {"size": F.size(words_of(F.coalesce("_text", F.lit("")))).cast("long"), "key": order_key(F.col("_id"), F.col("_text"))}, [*[f"c_{c}" for c in carry], "source"])
     slim = scratch.keep(d.select("source", "size", "key"))
     plan = scratch.keep(source_plan(slim, **plan_options))
     n_sources = plan.count()

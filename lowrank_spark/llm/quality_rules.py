@@ -19,6 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from lowrank_spark.functions.staging import once
 from lowrank_spark.runtime import BROADCAST_BYTES, Scratch
 
 SPACE = r"[\x20\x09-\x0D]+"
@@ -67,23 +68,20 @@ def boilerplate(freq: DataFrame, min_docs: int = MIN_DOCS, share: float = SHARE)
 def base_counts(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """Adds n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words and base_failed."""
     t = F.coalesce(F.col(text_col), F.lit(""))
-    d = docs.withColumn("_t", t).withColumns(
-        {
-            "_w": words_of(F.col("_t")),
-            "_l": F.filter(F.split("_t", "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]")),
-            "n_symbols": F.length(F.regexp_replace("_t", r"[^#*$%&|<>]+", "")).cast("long"),
-        }
-    )
-    d = d.withColumns(
+    d = once(docs, {"_w": words_of(t), "_l": F.filter(F.split(t, "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]")), "n_symbols": F.length(F.regexp_replace(t, r"[^#*$%&|<>]+", "")).cast("long")})
+    windows = F.transform(F.sequence(F.lit(1), F.size("_w") - (WINDOW - 1)), lambda i: F.xxhash64(F.slice(F.col("_w"), i, WINDOW)))
+    d = once(
+        d,
         {
             "n_words": F.size("_w").cast("long"),
             "word_chars": F.length(F.array_join("_w", "")).cast("long"),
             "n_dup_lines": (F.size("_l") - F.size(F.array_distinct("_l"))).cast("long"),
-            "_h": F.when(F.size("_w") >= WINDOW, F.transform(F.sequence(F.lit(1), F.size("_w") - (WINDOW - 1)), lambda i: F.xxhash64(F.slice(F.col("_w"), i, WINDOW)))),
-        }
+            "_h": F.when(F.size("_w") >= WINDOW, windows),
+        },
+        [c for c in d.columns if c != "_l"],
     )
     repeats = F.size("_h") > F.size(F.array_distinct("_h"))
-    d = d.withColumn("_s", F.when(repeats, F.array_sort(F.transform("_h", lambda x, i: F.struct(x.alias("h"), i.alias("p"))))))
+    d = once(d, {"_s": F.when(repeats, F.array_sort(F.transform("_h", lambda x, i: F.struct(x.alias("h"), i.alias("p")))))}, [c for c in d.columns if c not in ("_h", "_w")])
 
     def same(e: Column, i: Column) -> Column:
         return F.coalesce(F.get(F.col("_s"), i - 1)["h"] == e["h"], F.lit(False)) | F.coalesce(F.get(F.col("_s"), i + 1)["h"] == e["h"], F.lit(False))
@@ -91,8 +89,8 @@ def base_counts(docs: DataFrame, text_col: str = "text") -> DataFrame:
     at = F.array_sort(F.transform(F.filter("_s", same), lambda e: e["p"]))
     none = F.struct(F.lit(-WINDOW).alias("last"), F.lit(0).alias("n"))
     cover = F.aggregate(at, none, lambda a, p: F.struct(p.alias("last"), (a["n"] + F.least(F.lit(WINDOW), p - a["last"])).alias("n")), lambda a: a["n"])
-    d = d.withColumn("n_repeat_words", F.coalesce(cover, F.lit(0)).cast("long"))
-    return d.withColumn("base_failed", (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_PCT * F.col("n_words"))).drop("_w", "_h", "_s", "_l", "_t")
+    d = once(d, {"n_repeat_words": F.coalesce(cover, F.lit(0)).cast("long")}, [c for c in d.columns if c != "_s"])
+    return d.withColumn("base_failed", (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_PCT * F.col("n_words")))
 
 
 def mark_boilerplate(docs: DataFrame, text_col: str = "text", host_col: str = "source", min_docs: int = MIN_DOCS, share: float = SHARE) -> DataFrame:
@@ -110,11 +108,12 @@ def mark_boilerplate(docs: DataFrame, text_col: str = "text", host_col: str = "s
         lines = F.explode(F.array_distinct(F.transform(F.split(text_col, "\n", -1), _line_hash)))
         hit = d.select("_host", key.alias("_k"), lines.alias("line")).join(freq.withColumnRenamed("host", "_host"), ["_host", "line"])
         d = d.withColumn("_k", key).join(hit.groupBy("_k").agg(F.collect_set("line").alias("_freq")), "_k", "left").drop("_k")
-    d = d.withColumn("_lines", F.split(text_col, "\n", -1))
-    d = d.withColumn("_out", F.when(F.size("_freq") > 0, F.filter("_lines", lambda x: F.array_contains(F.col("_freq"), _line_hash(x)))))
-    d = d.withColumn("n_removed_words", F.when(F.size("_out") > 0, F.size(words_of(F.array_join("_out", "\n")))).otherwise(0).cast("long"))
-    left = F.array_join(F.filter("_lines", lambda x: ~F.array_contains(F.col("_freq"), _line_hash(x))), "\n")
-    return d.withColumn("clean_text", F.when(F.size("_out") > 0, left).otherwise(F.col(text_col))).drop("_host", "_freq", "_lines", "_out")
+    is_out = lambda x: F.array_contains(F.col("_freq"), _line_hash(x))
+    d = once(d, {"_marks": F.when(F.size("_freq") > 0, F.transform(F.split(text_col, "\n", -1), lambda x: F.struct(x.alias("x"), is_out(x).alias("out"))))})
+    pick = lambda out: F.array_join(F.transform(F.filter("_marks", lambda m: m["out"] == F.lit(out)), lambda m: m["x"]), "\n")
+    any_out = F.exists("_marks", lambda m: m["out"])
+    gone = F.when(any_out, F.size(words_of(pick(True)))).otherwise(0).cast("long")
+    return once(d, {"n_removed_words": gone, "clean_text": F.when(any_out, pick(False)).otherwise(F.col(text_col))}, [c for c in d.columns if c not in ("_host", "_freq", "_marks")])
 
 
 def depleted() -> Column:

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from lowrank_spark import config as C
 from lowrank_spark.functions.hashing import duck_int, text, uniform
 from lowrank_spark.operators import band, baselines, biases, cost, graph, loss, metrics, neigh, neural, online, params, predict, relational, signhash, steps, theory, train
+from lowrank_spark.plans import experiments
 from lowrank_spark.sources import interactions as W
 from lowrank_spark.sources import prep
 from lowrank_spark.streaming import streams
@@ -763,6 +764,9 @@ add("net_product", _net(neural.net_product))
 add("net_mlp", _net(neural.net_mlp))
 add("net_fused", _net(neural.net_fused))
 
+for _name, _fn in experiments.ALL.items():
+    add(_name, _fn)
+
 for _name, _fn, _sql in [*relational.entries(), *streams.entries()]:
     add(_name, _fn, _sql)
 

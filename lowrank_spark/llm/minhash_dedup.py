@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from lowrank_spark.llm.components import connected
-from lowrank_spark.runtime import Scratch, ship_package
+from lowrank_spark.runtime import Scratch, maybe_broadcast, ship_package
 
 BANDS = 25
 ROWS = 5
@@ -296,10 +296,17 @@ def _repeats(signed: DataFrame) -> bool:
 
 
 def minhash_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group; same columns as documents."""
-    scratch = Scratch(spark, "minhash-stage")
-    out = scratch.keep(near_duplicates(docs).where("kept").select(F.col("doc_id").alias("_id")).distinct())
-    return docs.join(out, docs["doc_id"].eqNullSafe(out["_id"]), "left_semi").select(*docs.columns).dropDuplicates(["doc_id", "text"])
+    """One document of each group; same columns as documents.
+
+    Only the ids that go are joined (a doc_id goes when none of its rows stays), so the texts are not shuffled while
+    those ids are few; rows repeated whole are made one where a doc_id stands in several rows at all.
+    """
+    ids = near_duplicates(docs).groupBy("doc_id").agg(F.bool_or("kept").alias("stays"), F.count(F.lit(1)).alias("n"))
+    ids = Scratch(spark, "minhash-stage").keep(ids.where("not stays or n > 1"))
+    out = ids.where("not stays").select(F.col("doc_id").alias("_id"))
+    out = maybe_broadcast(out, out.count(), 16)
+    left = docs.join(out, docs["doc_id"].eqNullSafe(out["_id"]), "left_anti").select(*docs.columns)
+    return left.dropDuplicates(["doc_id", "text"]) if ids.where("n > 1").limit(1).collect() else left
 
 
 def op1_minhash(spark, sf_dir: str) -> DataFrame:

@@ -48,8 +48,8 @@ def test_rotation_of_three():
 
 
 def test_collision_moves():
-    assert theory.pair_probability(0.9, 3, 100) < theory.pair_probability(0.9, 2, 100)
-    assert theory.pair_probability(0.9, 3, 200) > theory.pair_probability(0.9, 3, 100)
+    assert theory.pair_probability(0.3, 3, 100) < theory.pair_probability(0.3, 2, 100)
+    assert theory.pair_probability(0.3, 3, 200) > theory.pair_probability(0.3, 3, 100)
     p, q = theory.plan_pq(0.9, 0.5, 0.99, 0.2)
     assert theory.pair_probability(0.9, p, q) >= 0.99 and theory.pair_probability(0.5, p, q) <= 0.2
 

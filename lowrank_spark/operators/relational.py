@@ -36,7 +36,10 @@ def _r(c, n: int = 6):
     return F.round(c, n)
 
 
-n_rows = F.count(F.lit(1))
+def n_rows():
+    return F.count(F.lit(1))
+
+
 _ORD = "o_orderkey, o_custkey, o_orderstatus, round(o_totalprice, 2) as price"
 
 
@@ -76,7 +79,7 @@ def op_scan_orc_roundtrip(t):
 def op_sink_partitioned(t):
     path = f"{Scratch(t.spark, 'parts').base}/by_priority"
     t.orders.select("o_orderkey", "o_orderpriority").repartition("o_orderpriority").write.partitionBy("o_orderpriority").parquet(path)
-    return t.spark.read.parquet(path).where("o_orderpriority = '1-URGENT'").groupBy("o_orderpriority").agg(n_rows.alias("n"))
+    return t.spark.read.parquet(path).where("o_orderpriority = '1-URGENT'").groupBy("o_orderpriority").agg(n_rows().alias("n"))
 
 
 @op(None)
@@ -84,7 +87,7 @@ def op_sink_bucketed(t):
     name = "lowrank_bucketed_orders_" + shared_dir(t.spark).replace("/", "_").replace(":", "_").replace("-", "_").replace(".", "_")[-40:]
     t.spark.sql(f"drop table if exists {name}")
     t.orders.select("o_orderkey", "o_custkey").write.bucketBy(8, "o_custkey").sortBy("o_custkey").format("parquet").option("path", f"{Scratch(t.spark, 'bucket').base}/orders").saveAsTable(name)
-    return t.spark.table(name).groupBy("o_custkey").agg(n_rows.alias("n"))
+    return t.spark.table(name).groupBy("o_custkey").agg(n_rows().alias("n"))
 
 
 @op("select o_custkey as i, o_orderkey as j, round(o_totalprice, 2) as r from orders")
@@ -102,7 +105,7 @@ def op_source_interactions(t):
 @op("select count(*) as n, round(sum(l_extendedprice), 2) as total from lineitem where l_shipdate >= timestamp '1995-01-01' and l_discount between 0.05 and 0.07 and l_quantity < 24")
 def op_filter_pushdown(t):
     x = t.lineitem.where((F.col("l_shipdate") >= F.lit("1995-01-01").cast("timestamp_ntz")) & F.col("l_discount").between(0.05, 0.07) & (F.col("l_quantity") < 24))
-    return x.agg(n_rows.alias("n"), _r(F.sum("l_extendedprice"), 2).alias("total"))
+    return x.agg(n_rows().alias("n"), _r(F.sum("l_extendedprice"), 2).alias("total"))
 
 
 @op("select c_custkey, c_name from customer where c_mktsegment in ('BUILDING', 'AUTOMOBILE') and c_name like '%1' and c_acctbal is not null")
@@ -122,7 +125,7 @@ _J3 = "select c_mktsegment, count(*) as n, round(sum(l_quantity), 2) as q from l
 def _three(t, how: str):
     li, o, c = t.lineitem.select("l_orderkey", "l_quantity"), t.orders.select("o_orderkey", "o_custkey"), t.customer.select("c_custkey", "c_mktsegment")
     x = li.join(o.hint(how) if how else o, F.col("l_orderkey") == F.col("o_orderkey"))
-    return x.join(c, F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(n_rows.alias("n"), _r(F.sum("l_quantity"), 2).alias("q"))
+    return x.join(c, F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(n_rows().alias("n"), _r(F.sum("l_quantity"), 2).alias("q"))
 
 
 @op(_J3)
@@ -137,7 +140,7 @@ def op_join_sortmerge(t):
 
 @op("select n_name, count(*) as n from customer join nation on c_nationkey = n_nationkey group by n_name")
 def op_join_broadcast(t):
-    return t.customer.join(F.broadcast(t.nation), F.col("c_nationkey") == F.col("n_nationkey")).groupBy("n_name").agg(n_rows.alias("n"))
+    return t.customer.join(F.broadcast(t.nation), F.col("c_nationkey") == F.col("n_nationkey")).groupBy("n_name").agg(n_rows().alias("n"))
 
 
 @op("select c_custkey, count(o_orderkey) as n from customer left join orders on c_custkey = o_custkey and o_orderstatus = 'F' group by c_custkey")
@@ -148,7 +151,7 @@ def op_join_left(t):
 
 @op("select coalesce(a.k, b.k) as k, coalesce(a.n, 0) as n_old, coalesce(b.n, 0) as n_new from (select l_suppkey as k, count(*) as n from lineitem where l_linenumber <= 1 group by 1) a full join (select l_suppkey as k, count(*) as n from lineitem where l_linenumber >= 6 group by 1) b on a.k = b.k")
 def op_join_full_outer(t):
-    one = lambda c, n: t.lineitem.where(c).groupBy(F.col("l_suppkey").alias("k")).agg(n_rows.alias(n))
+    one = lambda c, n: t.lineitem.where(c).groupBy(F.col("l_suppkey").alias("k")).agg(n_rows().alias(n))
     return one("l_linenumber <= 1", "n_old").join(one("l_linenumber >= 6", "n_new"), "k", "full").na.fill(0)
 
 
@@ -166,7 +169,7 @@ def op_join_anti(t):
 def op_join_theta_pairs(t):
     x = t.part.select("p_brand", "p_size").distinct()
     y = x.select(F.col("p_brand").alias("b2"), "p_size")
-    return x.join(y, "p_size").where("p_brand < b2").groupBy(F.col("p_brand").alias("b1"), "b2").agg(n_rows.alias("n"))
+    return x.join(y, "p_size").where("p_brand < b2").groupBy(F.col("p_brand").alias("b1"), "b2").agg(n_rows().alias("n"))
 
 
 @op("select lo, count(*) as n from orders join (select unnest(range(0, 600000, 50000))::double as lo) r on o_totalprice >= lo and o_totalprice < lo + 50000 group by lo")
@@ -174,7 +177,7 @@ def op_join_range_bins(t):
     """A range join as an equality on the bin number, with the range as a residual."""
     bins = t.spark.range(0, 600000, 50000).select(F.col("id").cast("double").alias("lo"), (F.col("id") / 50000).cast("long").alias("bin"))
     o = t.orders.select("o_totalprice", F.floor(F.col("o_totalprice") / 50000).cast("long").alias("bin"))
-    return o.join(bins, "bin").where("o_totalprice >= lo and o_totalprice < lo + 50000").groupBy("lo").agg(n_rows.alias("n"))
+    return o.join(bins, "bin").where("o_totalprice >= lo and o_totalprice < lo + 50000").groupBy("lo").agg(n_rows().alias("n"))
 
 
 @op("select a.s_suppkey as s1, b.s_suppkey as s2 from supplier a join supplier b on a.s_nationkey = b.s_nationkey and a.s_suppkey < b.s_suppkey")
@@ -194,7 +197,7 @@ def op_join_nullsafe(t):
     k = F.nullif(F.col("l_linenumber"), F.lit(3))
     a = t.lineitem.where("l_orderkey < 500").select(k.alias("k"))
     b = t.lineitem.select(k.alias("m")).distinct()
-    return a.join(b, a["k"].eqNullSafe(b["m"])).agg(n_rows.alias("n"))
+    return a.join(b, a["k"].eqNullSafe(b["m"])).agg(n_rows().alias("n"))
 
 
 _TS = "strftime({c}, '%Y-%m-%d %H:%M:%S')"
@@ -216,7 +219,7 @@ def op_join_interval(t):
     a = t.events.select(F.col("event_id").alias("e1"), "user_id", F.col("ts").alias("t1"), F.explode(F.array(hour, hour + 1)).alias("h"))
     b = t.events.select("user_id", F.col("ts").alias("t2"), hour.alias("h"))
     x = a.join(b, ["user_id", "h"]).where("t2 > t1 and t2 <= t1 + interval 1 hour")
-    return x.groupBy("e1").agg(n_rows.alias("n"))
+    return x.groupBy("e1").agg(n_rows().alias("n"))
 
 
 @op("select c_custkey, o_orderkey, round(o_totalprice, 2) as price from (select c_custkey, o_orderkey, o_totalprice, row_number() over (partition by c_custkey order by o_totalprice desc, o_orderkey) as rn from customer join orders on c_custkey = o_custkey) where rn <= 3")
@@ -231,7 +234,7 @@ def op_lateral_topk(t):
 # ---- aggregates
 @op("select l_returnflag, l_linestatus, count(*) as n, round(sum(l_quantity), 2) as q, round(avg(l_extendedprice), 4) as p, min(l_tax) as lo, max(l_tax) as hi from lineitem group by 1, 2")
 def op_agg_basic(t):
-    return t.lineitem.groupBy("l_returnflag", "l_linestatus").agg(n_rows.alias("n"), _r(F.sum("l_quantity"), 2).alias("q"), _r(F.avg("l_extendedprice"), 4).alias("p"), F.min("l_tax").alias("lo"), F.max("l_tax").alias("hi"))
+    return t.lineitem.groupBy("l_returnflag", "l_linestatus").agg(n_rows().alias("n"), _r(F.sum("l_quantity"), 2).alias("q"), _r(F.avg("l_extendedprice"), 4).alias("p"), F.min("l_tax").alias("lo"), F.max("l_tax").alias("hi"))
 
 
 @op("select l_suppkey, count(distinct l_partkey) as parts, count(distinct l_orderkey) as orders from lineitem group by 1")
@@ -246,7 +249,7 @@ def op_agg_filter(t):
 
 @op("select o_custkey, count(*) as n from orders group by 1 having count(*) > 12")
 def op_agg_having(t):
-    return t.orders.groupBy("o_custkey").agg(n_rows.alias("n")).where("n > 12")
+    return t.orders.groupBy("o_custkey").agg(n_rows().alias("n")).where("n > 12")
 
 
 _CB = "(select o_custkey % 10 as i, l_partkey % 7 as j, l_quantity as r from lineitem join orders on l_orderkey = o_orderkey)"
@@ -264,12 +267,12 @@ def op_agg_grouping_sets(t):
 @op("select n_name, c_mktsegment, count(*) as n from customer join nation on c_nationkey = n_nationkey group by rollup (n_name, c_mktsegment)")
 def op_agg_rollup(t):
     x = t.customer.join(F.broadcast(t.nation), F.col("c_nationkey") == F.col("n_nationkey"))
-    return x.rollup("n_name", "c_mktsegment").agg(n_rows.alias("n"))
+    return x.rollup("n_name", "c_mktsegment").agg(n_rows().alias("n"))
 
 
 @op("select l_returnflag, l_linestatus, count(*) as n from lineitem group by cube (l_returnflag, l_linestatus)")
 def op_agg_cube(t):
-    return t.lineitem.cube("l_returnflag", "l_linestatus").agg(n_rows.alias("n"))
+    return t.lineitem.cube("l_returnflag", "l_linestatus").agg(n_rows().alias("n"))
 
 
 @op("select l_linenumber, round(stddev_samp(l_quantity), 6) as sd, round(var_pop(l_quantity), 6) as vp, round(avg(l_discount), 6) as a, round(median(l_quantity), 6) as md from lineitem group by 1")
@@ -304,7 +307,7 @@ def op_agg_approx(t):
 
 @op("select user_id, count(*) filter (event_type = 'click') as click, count(*) filter (event_type = 'purchase') as purchase, count(*) filter (event_type = 'view') as view from events group by 1")
 def op_pivot(t):
-    return t.events.groupBy("user_id").pivot("event_type", ["click", "purchase", "view"]).agg(n_rows).na.fill(0)
+    return t.events.groupBy("user_id").pivot("event_type", ["click", "purchase", "view"]).agg(n_rows()).na.fill(0)
 
 
 @op("select l_linenumber, 'q' as what, round(sum(l_quantity), 2) as v from lineitem group by 1 union all select l_linenumber, 'd', round(sum(l_discount), 2) from lineitem group by 1")
@@ -426,7 +429,7 @@ def op_str_regex(t):
 @op("select w, count(*) as n from (select unnest(string_split(lower(text), ' ')) as w from documents) where length(w) >= 3 group by w having count(*) >= 20")
 def op_str_split_agg(t):
     x = t.documents.select(F.explode(F.split(F.lower("text"), " ")).alias("w")).where(F.length("w") >= 3)
-    return x.groupBy("w").agg(n_rows.alias("n")).where("n >= 20")
+    return x.groupBy("w").agg(n_rows().alias("n")).where("n >= 20")
 
 
 @op("select page_id, regexp_extract(url, '^https?://([^/?#]+)', 1) as host, regexp_extract(url, '^https?://[^/?#]+([^?#]*)', 1) as path from pages")
@@ -442,7 +445,7 @@ def op_date_parts(t):
 
 @op("select strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') as m, count(*) as n from orders group by 1")
 def op_date_trunc(t):
-    return t.orders.groupBy(F.date_format(F.date_trunc("month", F.col("o_orderdate").cast("timestamp")), "yyyy-MM-dd").alias("m")).agg(n_rows.alias("n"))
+    return t.orders.groupBy(F.date_format(F.date_trunc("month", F.col("o_orderdate").cast("timestamp")), "yyyy-MM-dd").alias("m")).agg(n_rows().alias("n"))
 
 
 @op("select l_orderkey, l_linenumber, date_diff('day', o_orderdate::date, l_shipdate::date)::int as days from lineitem join orders on l_orderkey = o_orderkey")
@@ -503,7 +506,7 @@ def op_explode_outer(t):
 
 @op("select user_id, coalesce(click, 0) as clicks, n as kinds from (select user_id, count(*) filter (event_type = 'click') as click, count(distinct event_type)::int as n from events group by 1)")
 def op_map_ops(t):
-    m = t.events.groupBy("user_id", "event_type").agg(n_rows.alias("n")).groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
+    m = t.events.groupBy("user_id", "event_type").agg(n_rows().alias("n")).groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
     return m.select("user_id", F.coalesce(F.try_element_at("m", F.lit("click")), F.lit(0)).alias("clicks"), F.size(F.map_keys("m")).alias("kinds"))
 
 

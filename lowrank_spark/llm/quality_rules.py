@@ -2,12 +2,12 @@
 
 A normalised line is boilerplate of a host when it stands in at least `min_docs` different texts of the host and in
 at least `share` of all of them (exact copies of a text count once, so copying a page does not turn its prose into
-boilerplate). Boilerplate is removed; a document that loses words and keeps too few of them is depleted and rejected.
-Base rules (word count, repeated 8-word windows) stand beside it.
+boilerplate). `op2_quality_rules` and its SQL form use SHARE; the pipeline's stage uses the count alone, so a line goes
+from a large host as from a small one. Boilerplate is removed; a document that loses words and keeps too few of them is
+depleted and rejected. Base rules (word count, repeated 8-word windows) stand beside it.
 
-Because a boilerplate line fills `share` of its host's texts, a host has at most (its mean lines a text) / share such
-lines: the list per host is bounded whatever the corpus holds. It is broadcast after its size is measured; beyond
-the bound the lines are joined by (host, line) instead.
+The list of boilerplate lines is broadcast after its size is measured; where it is too large the lines are joined by
+(host, line) instead.
 
 Native: DataFrame functions only. Defined cases: null text counts as the empty text (no words, so base_failed);
 null host is the host ''; every input row gives one row, repeated or not, with null or repeated doc_ids; an empty
@@ -121,15 +121,15 @@ def depleted() -> Column:
     return (F.col("n_removed_words") > 0) & ((left < MIN_LEFT_WORDS) | (100 * left < MIN_LEFT_PCT * F.col("n_words")))
 
 
-def judge(docs: DataFrame, text_col: str = "text", host_col: str = "source") -> DataFrame:
+def judge(docs: DataFrame, text_col: str = "text", host_col: str = "source", share: float = SHARE) -> DataFrame:
     """docs with the counts, clean_text, and kept: the rules' verdict."""
-    d = base_counts(mark_boilerplate(docs, text_col, host_col), text_col)
+    d = base_counts(mark_boilerplate(docs, text_col, host_col, share=share), text_col)
     return d.withColumn("kept", ~F.col("base_failed") & ~depleted())
 
 
 def quality_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that pass, without their hosts' boilerplate lines; same columns as documents."""
-    d = judge(docs).where("kept")
+    d = judge(docs, share=0.0).where("kept")
     return d.withColumn("text", F.col("clean_text")).withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
 
 

@@ -182,12 +182,13 @@ def x12_rescaled(s, d):
 
 def x13_angle_law(s, d, reps=16, g=8):
     """Cosine hashing of vectors: agreement of bits by angle against 1 - angle / pi."""
-    im = W.dim_vec(s, d).where("j < 60")
+    im = W.dim_vec(s, d)
     x = baselines.cosine_sums(im, reps, g)
-    a = x.select("j", "rep", F.posexplode(F.array(*[(F.col(f"s{k}") >= 0).cast("int") for k in range(g)])).alias("g", "bit"))
-    e = graph.cosine(im).withColumn("bin", F.round(F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), "rho"))) / 3.141592653589793, 1))
-    j = e.join(a.select(F.col("j").alias("j1"), "rep", "g", F.col("bit").alias("b1")), "j1").join(a.select(F.col("j").alias("j2"), "rep", "g", F.col("bit").alias("b2")), ["j2", "rep", "g"])
-    return j.groupBy("bin").agg(F.count(F.lit(1)).alias("n"), F.avg((F.col("b1") == F.col("b2")).cast("double")).alias("agree"), (1 - F.avg(F.acos("rho") / 3.141592653589793)).alias("law"))
+    a = x.select("j", "rep", sum(F.when(F.col(f"s{k}") >= 0, 1 << k).otherwise(0) for k in range(g)).alias("code"))
+    e = graph.cosine(im).withColumn("turn", F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), "rho"))) / 3.141592653589793).withColumn("bin", F.round("turn", 1))
+    j = e.join(a.select(F.col("j").alias("j1"), "rep", F.col("code").alias("c1")), "j1").join(a.select(F.col("j").alias("j2"), "rep", F.col("code").alias("c2")), ["j2", "rep"])
+    same = g - F.bit_count(F.col("c1").bitwiseXOR(F.col("c2")))
+    return j.groupBy("bin").agg((F.count(F.lit(1)) * g).alias("n"), (F.sum(same) / F.count(F.lit(1)) / g).alias("agree"), (1 - F.avg("turn")).alias("law"))
 
 
 ALL = {f.__name__: f for f in (x1_solvers, x2_order, x3_serial_and_parallel, x4_searches, x5_pq, x6_fk, x7_blend_or_factor, x8_noise, x9_online, x10_workers, x11_hit_ratio, x12_rescaled, x13_angle_law)}

@@ -23,8 +23,8 @@ from pyspark.sql import types as T
 
 from lowrank_spark.runtime import ship_package
 
-#: Entries of each memo of a worker before the memo starts anew (memos only: results do not depend on them).
-MEMO = 1_000_000
+#: Bytes, about, of one generation of a memo; a memo holds two (memos only: results do not depend on them).
+MEMO_BYTES = 16 << 20
 #: Characters that count as white space for some engine; beside a space they rule out the cut at spaces.
 _BLANKS = "\t\n\x0b\x0c\r\x1c\x1d\x1e\x1f\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000 "
 
@@ -80,6 +80,32 @@ class RankQueue:
         return rank, b
 
 
+class Memo:
+    """Two generations of remembered ids, bounded in bytes: what the older one still answers moves to the younger one."""
+
+    def __init__(self, limit: int = MEMO_BYTES):
+        self.limit = limit
+        self.forget()
+
+    def forget(self) -> None:
+        self.young: dict[str, tuple[int, ...]] = {}
+        self.old: dict[str, tuple[int, ...]] = {}
+        self.size = 0
+
+    def put(self, key: str, ids: tuple[int, ...]) -> None:
+        if self.size >= self.limit:
+            self.old, self.young, self.size = self.young, {}, 0
+        self.young[key] = ids
+        self.size += 200 + 4 * len(key) + 8 * len(ids)
+
+    def again(self, key: str) -> tuple[int, ...] | None:
+        """For a key that the younger generation lacks."""
+        ids = self.old.get(key)
+        if ids is not None:
+            self.put(key, ids)
+        return ids
+
+
 class ByteBpe:
     """Encoder and decoder of one rank file and one pre-token pattern."""
 
@@ -100,8 +126,7 @@ class ByteBpe:
                 a, b = ranks.get(token[:cut]), ranks.get(token[cut:])
                 if a is not None and b is not None:
                     self.pairs[a << 24 | b] = r
-        self.piece_memo: dict[str, tuple[int, ...]] = {}
-        self.chunk_memo: dict[str, tuple[int, ...]] = {}
+        self.piece_memo, self.chunk_memo = Memo(), Memo()
         # the cut at spaces holds for patterns that take at most one space, and only before other characters
         self.cuts = " ?" in pattern
 
@@ -195,16 +220,19 @@ class ByteBpe:
     def _pieces(self, text: str) -> list[int]:
         memo, out = self.piece_memo, []
         for p in self.find(text):
-            ids = memo.get(p)
+            ids = memo.young.get(p) or memo.again(p)
             if ids is None:
                 ids = self.merge(p.encode("utf-8", "surrogatepass"))
                 if len(p) <= 64:
-                    if len(memo) >= MEMO:
-                        memo.clear()
-                    memo[p] = ids
+                    memo.put(p, ids)
             out += ids
         return out
 
+    def forget(self) -> None:
+        """Frees the memos; the tables stay."""
+        self.piece_memo.forget()
+        self.chunk_memo.forget()
+
     def encode(self, text: str) -> list[int]:
         """Ids of a text.
 
@@ -213,18 +241,15 @@ class ByteBpe:
         """
         if not self.cuts or any(f" {b}" in text or f"{b} " in text for b in (_BLANKS[:9] + " " if text.isascii() else _BLANKS)):
             return self._pieces(text)
-        memo, out = self.chunk_memo, []
+        memo = self.chunk_memo
         chunks = text.split(" ")
         out = self._pieces(chunks[0])
-        get = memo.get
         for c in chunks[1:]:
-            ids = get(c)
+            ids = memo.young.get(c) or memo.again(c)
             if ids is None:
                 ids = tuple(self._pieces(" " + c))
                 if len(c) <= 64:
-                    if len(memo) >= MEMO:
-                        memo.clear()
-                    memo[c] = ids
+                    memo.put(c, ids)
             out += ids
         return out
 
@@ -239,7 +264,7 @@ _LIVE: dict[tuple[str, str], ByteBpe] = {}
 
 
 def live(vocab_path: str, pattern: str) -> ByteBpe:
-    """This process's encoder: its tables and memos outlive a task."""
+    """This process's encoder: its tables outlive a task, its memos do not."""
     if (vocab_path, pattern) not in _LIVE:
         _LIVE[vocab_path, pattern] = ByteBpe(load_ranks(vocab_path), pattern)
     return _LIVE[vocab_path, pattern]
@@ -266,24 +291,27 @@ def encode_documents(docs: DataFrame, vocab_path: str, pattern: str, outputs: li
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = live(vocab_path, pattern)
         need_text = "decoded_text" in outputs
-        for batch in batches:
-            cols = {o: [] for o in outputs}
-            texts = batch.column(len(carry))
-            for v in texts:
-                ids = bpe.encode(v.as_py() or "")
-                raw = bpe.decode(ids) if need_text or "decoded_sha256" in cols else b""
-                for o, c in cols.items():
-                    if o == "token_ids":
-                        c.append(ids)
-                    elif o == "n_tokens":
-                        c.append(len(ids))
-                    elif o == "ids_sha256":
-                        c.append(hashlib.sha256(bpe.id_text(ids).encode()).hexdigest())
-                    elif o == "decoded_text":
-                        c.append(raw.decode("utf-8", "replace"))
-                    else:
-                        c.append(hashlib.sha256(raw).hexdigest())
-            yield pa.RecordBatch.from_arrays([batch.column(i) for i in range(len(carry))] + [pa.array(cols[o], FIELDS[o][0]) for o in outputs], names=carry + outputs)
+        try:
+            for batch in batches:
+                cols = {o: [] for o in outputs}
+                texts = batch.column(len(carry))
+                for v in texts:
+                    ids = bpe.encode(v.as_py() or "")
+                    raw = bpe.decode(ids) if need_text or "decoded_sha256" in cols else b""
+                    for o, c in cols.items():
+                        if o == "token_ids":
+                            c.append(ids)
+                        elif o == "n_tokens":
+                            c.append(len(ids))
+                        elif o == "ids_sha256":
+                            c.append(hashlib.sha256(bpe.id_text(ids).encode()).hexdigest())
+                        elif o == "decoded_text":
+                            c.append(raw.decode("utf-8", "replace"))
+                        else:
+                            c.append(hashlib.sha256(raw).hexdigest())
+                yield pa.RecordBatch.from_arrays([batch.column(i) for i in range(len(carry))] + [pa.array(cols[o], FIELDS[o][0]) for o in outputs], names=carry + outputs)
+        finally:
+            bpe.forget()
 
     return docs.select(*carry, docs[text_col].alias("_bpe_text")).mapInArrow(run, schema)
 

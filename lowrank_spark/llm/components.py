@@ -38,6 +38,8 @@ def connected(edges: DataFrame, scratch: Scratch) -> DataFrame:
         if new == mark:
             break
         mark = new
+    else:
+        raise RuntimeError(f"components have not settled in {MAX_ROUNDS} rounds")
     return e.select(F.col("u").alias("node"), F.col("v").alias("comp")).union(e.select(F.col("v"), F.col("v")).distinct())
 
 

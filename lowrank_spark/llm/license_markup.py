@@ -38,7 +38,26 @@ TEMPLATES = (
         "permission is hereby granted free of charge to any person obtaining a copy of this <<opt>>software and associated documentation files the<</opt>> software "
         "to deal in the software without restriction including without limitation the rights to use copy modify merge publish distribute sublicense and or sell copies of the software "
         "and to permit persons to whom the software is furnished to do so subject to the following conditions the above copyright notice and this permission notice "
-        "<<opt>>including the next paragraph<</opt>> shall be included in all copies or substantial portions of the software",
+        "<<opt>>including the next paragraph<</opt>> shall be included in all copies or substantial portions of the software "
+        "the software is provided as is without warranty of any kind express or implied including but not limited to the warranties of merchantability "
+        "fitness for a particular purpose and noninfringement in no event shall the authors or copyright holders be liable for any claim damages or other liability "
+        "whether in an action of contract tort or otherwise arising from out of or in connection with the software or the use or other dealings in the software",
+    ),
+    (
+        "mpl-2.0-notice",
+        "this source code form is subject to the terms of the mozilla public license v 2 0 if a copy of the mpl was not distributed with this file "
+        "you can obtain one at <<http|https>> <<opt>>www<</opt>> mozilla org mpl 2 0",
+    ),
+    (
+        "apache-2.0-boilerplate",
+        "licensed under the apache license version 2 0 the license you may not use this file except in compliance with the license you may obtain a copy of the license at "
+        "<<http|https>> www apache org licenses license 2 0 unless required by applicable law or agreed to in writing software distributed under the license is distributed on an as is basis "
+        "without warranties or conditions of any kind either express or implied see the license for the specific language governing permissions and limitations under the license",
+    ),
+    (
+        "gpl-text-notice",
+        "this <<program|library|file|work>> is free software you can redistribute it and or modify it under the terms of the gnu <<opt>><<lesser|affero>><</opt>> general public license "
+        "as published by the free software foundation either version <<2|3>> of the license or <<opt>>at your option<</opt>> any later version",
     ),
     (
         "isc-text",
@@ -149,6 +168,8 @@ class Automaton:
                     raise ValueError("a template begins with a word of its own")
                 for w in self.reads[k]:
                     nxt = self.onward[k + 1]
+                    if nxt & self.final:  # the run may end here
+                        out.add(b" %b " % w)
                     for j in range(self.end):
                         if nxt >> j & 1:
                             out |= {b" %b " % w} if self.reads[j] is None else {b" %b %b " % (w, v) for v in self.reads[j]}
@@ -162,9 +183,11 @@ def compile_templates(templates=TEMPLATES) -> list[tuple[Automaton, list[bytes]]
 
 def _starts(flat: bytes, phrase: bytes) -> list[int]:
     """Word indices at which ' phrase ' stands in the space-joined words (overlaps included)."""
-    out, p = [], flat.find(phrase)
+    out, p, at, n = [], flat.find(phrase), 0, 0
     while p >= 0:
-        out.append(flat.count(b" ", 0, p))
+        n += flat.count(b" ", at, p)
+        at = p
+        out.append(n)
         p = flat.find(phrase, p + 1)
     return out
 

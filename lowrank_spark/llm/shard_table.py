@@ -7,7 +7,8 @@ table's size is a parameter, not a function of the data, so it is broadcast and
 lookup, with no shuffle.
 
 Native: DataFrame functions only on the rows. Defined cases: a null key hashes like Spark's hash of null and gets one
-fixed slot; repeated keys share a shard; an empty table gives an empty result; other columns are carried untouched.
+fixed slot; repeated keys share a shard; an empty table gives an empty result; keys of any length are hashed whole; other
+columns are carried untouched, but columns named slot or shard come back as in_slot and in_shard.
 """
 
 from __future__ import annotations
@@ -63,13 +64,16 @@ def table_frame(spark, shards: list[str], slots: int = SLOTS, weights: list[int]
 def place(docs: DataFrame, key_col: str, shards: list[str], slots: int = SLOTS, weights: list[int] | None = None) -> DataFrame:
     """docs + slot and shard. The broadcast side has `slots` rows (at most MAX_SLOTS)."""
     table = table_frame(docs.sparkSession, shards, slots, weights)
-    return docs.withColumn("slot", F.pmod(F.xxhash64(F.col(key_col)), F.lit(slots))).join(F.broadcast(table), "slot", "left")
+    own = [F.col(f"`{c}`").alias(f"in_{c}" if c in ("slot", "shard") else c) for c in docs.columns]
+    x = docs.select(*own, F.pmod(F.xxhash64(F.col(f"`{key_col}`")), F.lit(slots)).alias("slot"))
+    return x.join(F.broadcast(table), "slot", "left").select(*x.columns, "shard")
 
 
 def write_shards(docs: DataFrame, key_col: str, shards: list[str], path: str, files_a_shard: int = 8, **options) -> None:
     """One folder a shard; each shard's rows are dealt over several tasks, so a hot shard is no single task."""
     d = place(docs, key_col, shards, **options)
-    d.repartition("shard", F.pmod(F.xxhash64(F.col(key_col), F.lit(1)), F.lit(files_a_shard))).write.partitionBy("shard").parquet(path)
+    key = F.col(f"`in_{key_col}`" if key_col in ("slot", "shard") else f"`{key_col}`")
+    d.repartition("shard", F.pmod(F.xxhash64(key, F.lit(1)), F.lit(files_a_shard))).write.partitionBy("shard").parquet(path)
 
 
 def disruption(before: list[int], after: list[int], old: list[str], new: list[str]) -> float:
@@ -79,5 +83,5 @@ def disruption(before: list[int], after: list[int], old: list[str], new: list[st
 
 
 def op9_sharding(spark, sf_dir: str) -> DataFrame:
-    d = place(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id"), "doc_id", shard_names(SHARDS))
-    return d.select("doc_id", "slot", "shard")
+    """Whole documents, each with its slot and shard."""
+    return place(spark.read.parquet(f"{sf_dir}/documents.parquet"), "doc_id", shard_names(SHARDS))

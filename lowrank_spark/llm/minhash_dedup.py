@@ -27,6 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from lowrank_spark.llm.columns import shield, unshield
 from lowrank_spark.llm.components import connected
 from lowrank_spark.runtime import Scratch, maybe_broadcast, ship_package
 
@@ -39,7 +40,8 @@ LIMIT_PCT = 85
 BLOCK_BYTES = 24 << 20
 BLOCK_ROWS = 1500
 _WORD = re.compile(rb"[^\x20\x09-\x0D]+")
-_MEMO = 500_000
+#: Words whose hashes a worker remembers while a task runs.
+_MEMO = 200_000
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -143,6 +145,7 @@ def sign_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         a, c = _constants()
+        _HASHES.clear()
         for b in batches:
             cls, n, sig, keys = [], [], [], []
             for t in b.column(1):
@@ -158,6 +161,7 @@ def sign_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                     sig.append(None)
                     keys.append(None)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(cls, pa.binary()), pa.array(n, pa.int64()), pa.array(sig, pa.binary()), pa.array(keys, pa.list_(pa.int64()))], names=["doc_id", "cls", "n_shingles", "sig", "keys"])
+        _HASHES.clear()
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, SIGN_SCHEMA)
 
@@ -176,6 +180,7 @@ def _sets_of(docs: DataFrame) -> DataFrame:
                         out[k].append(v)
             types = (pa.binary(), pa.binary(), pa.int64(), pa.binary(), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array(v, ty) for v, ty in zip(out.values(), types, strict=True)], names=list(out))
+        _HASHES.clear()
 
     return docs.select("text", "cls", "grp", "blocks", "sig").mapInArrow(run, "cls binary, grp binary, blocks long, sig binary, set binary")
 
@@ -305,8 +310,9 @@ def minhash_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     ids = Scratch(spark, "minhash-stage").keep(ids.where("not stays or n > 1"))
     out = ids.where("not stays").select(F.col("doc_id").alias("_id"))
     out = maybe_broadcast(out, out.count(), 16)
-    left = docs.join(out, docs["doc_id"].eqNullSafe(out["_id"]), "left_anti").select(*docs.columns)
-    return left.dropDuplicates(["doc_id", "text"]) if ids.where("n > 1").limit(1).collect() else left
+    mine = shield(docs, ("doc_id", "text"))
+    left = mine.join(out, mine["doc_id"].eqNullSafe(out["_id"]), "left_anti")
+    return unshield(left.dropDuplicates(["doc_id", "text"]) if ids.where("n > 1").limit(1).collect() else left, docs)
 
 
 def op1_minhash(spark, sf_dir: str) -> DataFrame:

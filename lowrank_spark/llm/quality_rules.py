@@ -11,7 +11,8 @@ The list of boilerplate lines is broadcast after its size is measured; where it
 
 Native: DataFrame functions only. Defined cases: null text counts as the empty text (no words, so base_failed);
 null host is the host ''; every input row gives one row, repeated or not, with null or repeated doc_ids; an empty
-table gives an empty result; other input columns do not matter.
+table gives an empty result; other input columns do not matter, and the stage gives them back as they came, whatever
+their names.
 """
 
 from __future__ import annotations
@@ -20,6 +21,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from lowrank_spark.functions.staging import once
+from lowrank_spark.llm.columns import shield, unshield
 from lowrank_spark.runtime import BROADCAST_BYTES, Scratch
 
 SPACE = r"[\x20\x09-\x0D]+"
@@ -129,8 +131,10 @@ def judge(docs: DataFrame, text_col: str = "text", host_col: str = "source", sha
 
 def quality_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that pass, without their hosts' boilerplate lines; same columns as documents."""
-    d = judge(docs, share=0.0).where("kept")
-    return d.withColumn("text", F.col("clean_text")).withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
+    mine = shield(docs, ("doc_id", "text", "source", "n_chars"))
+    d = judge(mine, share=0.0).where("kept")
+    d = d.withColumn("text", F.col("clean_text")).withColumn("n_chars", F.length("text").cast("long"))
+    return unshield(d, docs)
 
 
 def op2_quality_rules(spark, sf_dir: str) -> DataFrame:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -11,6 +12,7 @@ from lowrank_spark import config as C
 from lowrank_spark.functions.hashing import duck_int, text, uniform
 from lowrank_spark.operators import band, baselines, biases, cost, graph, loss, metrics, neigh, neural, online, params, predict, relational, signhash, steps, theory, train
 from lowrank_spark.plans import experiments
+from lowrank_spark.runtime import Scratch
 from lowrank_spark.sources import interactions as W
 from lowrank_spark.sources import prep
 from lowrank_spark.streaming import streams
@@ -193,8 +195,8 @@ def sums_sql(w: str, reps: int, psi: str = "r * r", where: str = "true") -> str:
     return f"select j, rep, {lanes} from (select j, rep, {psi} as p, {_byte('i', 'rep')} as b from ({W.DUCK[w]}), range({reps}) t(rep) where {where}) group by j, rep"
 
 
-def codes_sql(sums: str) -> str:
-    return f"select j, rep, ({' + '.join(f'case when s{g} >= 0 then {1 << g} else 0 end' for g in range(G))})::bigint as code from ({sums})"
+def codes_sql(sums: str, bits: int = G) -> str:
+    return f"select j, rep, ({' + '.join(f'case when s{g} >= 0 then {1 << g} else 0 end' for g in range(bits))})::bigint as code from ({sums})"
 
 
 def keys_sql(codes: str, p: int = HASH.p) -> str:
@@ -210,10 +212,14 @@ def top_sql(pairs: str, k: int = HASH.K) -> str:
 
 
 def fill_sql(w: str, top: str, k: int = HASH.K) -> str:
+    draw = lambda what, m: f"{duck_int(f"concat('fill:{SEED}:', hv.j, ':{what}')", 14)} % ({m})"
     return f"""with im as ({W.DUCK[w]}), tp as ({top}), un as (select j, row_number() over (order by j) - 1 as id from (select distinct j from im)),
+nn as (select count(*) as n from un),
+pp as (select min(p) as p from (select n + x as p from nn, range(2000) r(x)) where p >= 2 and not exists (select 1 from range(2, 2000) q(f) where f < p and p % f = 0)),
 hv as (select un.j, count(tp.j) as have from un left join tp on un.j = tp.j group by un.j),
-ca as (select hv.j, have, t, {duck_int(f"concat('fill:{SEED}:', hv.j, ':', t)", 14)} % (select count(*) from un) as id from hv, range({2 * k + 8}) x(t) where have < {k}),
-cb as (select ca.j, un.j as nbr, min(t) as t, any_value(have) as have from ca join un on ca.id = un.id where un.j <> ca.j group by ca.j, un.j),
+dr as (select hv.j, have, p, n, {draw("start", "p")} as a0, {draw("step", "greatest(1, p - 1)")} + 1 as hop from hv, pp, nn where have < {k}),
+ca as (select j, have, t, (a0 + t * hop) % p as id from dr, range(2000 + {k}) x(t) where t < p and t <= {k} + p - n),
+cb as (select ca.j, un.j as nbr, t, have from ca join un on ca.id = un.id where un.j <> ca.j),
 cc as (select * from cb where not exists (select 1 from tp where tp.j = cb.j and tp.nbr = cb.nbr)),
 cd as (select j, nbr, 0::bigint as freq, row_number() over (partition by j order by t) + have as k from cc)
 select j, nbr, freq, k from tp union all select j, nbr, freq, k from cd where k <= {k}"""
@@ -240,8 +246,6 @@ def sign_codes(s, d):
 
 @query(codes_sql(sums_sql("discount", _REPS, "r * r * r * r")))
 def sign_codes_fourth(s, d):
-    from dataclasses import replace
-
     return signhash.codes(signhash.accumulate(W.discount(s, d), replace(HASH, psi="fourth")))
 
 
@@ -252,8 +256,6 @@ def sign_codes_gathered(s, d):
 
 @query(codes_sql(sums_sql("term_doc", 2, "1e0")))
 def simhash_counts(s, d):
-    from dataclasses import replace
-
     return signhash.codes(signhash.accumulate(W.term_doc(s, d), replace(HASH, psi="ones", p=1, q=2)))
 
 
@@ -280,6 +282,18 @@ def band_topk_filled(s, d):
     return band.band_search(W.planted_groups(s, d), _ONE)
 
 
+@query(top_sql(_P1))
+def band_topk_dealt(s, d):
+    """Buckets of more than 20 columns, joined block by block."""
+    return band.band_search(W.planted_groups(s, d), replace(_ONE, max_bucket=20), fill="none")
+
+
+@query(fill_sql("cust_brand", top_sql(pairs_sql(keys_sql(codes_sql(sums_sql("cust_brand", 4)), 1)), 23), 23))
+def band_topk_of_few(s, d):
+    """K = 23 of 25 columns."""
+    return band.band_search(W.cust_brand(s, d), C.HashConfig(G=G, p=1, q=4, K=23, seed=SEED))
+
+
 @query(fill_sql("supp_part", "select ''::bigint as j, 0::bigint as nbr, 0::bigint as freq, 0::bigint as k where false".replace("''", "0")))
 def random_k(s, d):
     return baselines.random_k(W.supp_part(s, d), HASH.K, SEED)
@@ -300,7 +314,14 @@ def minhash_topk(s, d):
 
 
 _U = lambda t, lane: f"({duck_int(f"concat('{SEED}:{t}:', i, ':', {lane})")} / 4294967296e0)"
-_COS = "select j, rep, " + ", ".join(f"sum(r * sqrt(-2 * ln(greatest({_U('g1', f'rep * 4 + {k}')}, pow(2e0, -33)))) * cos(2 * pi() * {_U('g2', f'rep * 4 + {k}')})) as s{k}" for k in range(4)) + f" from ({W.DUCK['cust_brand']}), range(2) t(rep) group by j, rep"
+
+
+
+def _cos_sql(w: str, reps: int) -> str:
+    return "select j, rep, " + ", ".join(f"sum(r * sqrt(-2 * ln(greatest({_U('g1', f'rep * 4 + {k}')}, pow(2e0, -33)))) * cos(2 * pi() * {_U('g2', f'rep * 4 + {k}')})) as s{k}" for k in range(4)) + f" from ({W.DUCK[w]}), range({reps}) t(rep) group by j, rep"
+
+
+_COS = _cos_sql("cust_brand", 2)
 
 
 @query(f"select j, rep, ({' + '.join(f'case when s{k} >= 0 then {1 << k} else 0 end' for k in range(4))})::bigint as code from ({_COS})")
@@ -308,9 +329,18 @@ def cosine_codes(s, d):
     return signhash.codes(baselines.cosine_sums(W.cust_brand(s, d), 2, 4, SEED), 4)
 
 
-add("cosine_hash_topk", lambda s, d: baselines.cosine_hash(W.planted_groups(s, d), C.HashConfig(G=4, p=1, q=6, K=4, seed=SEED)))
-add("text_sign_topk", lambda s, d: baselines.text_sign_hash(W.term_doc(s, d), C.HashConfig(p=2, q=10, K=4, seed=SEED)))
-add("popular_fill_topk", lambda s, d: band.band_search(W.supp_part(s, d), C.HashConfig(p=1, q=4, K=4, seed=SEED), fill="popular"))
+_COS_CODES = codes_sql(_cos_sql("planted_groups", 6), 4)
+add("cosine_hash_topk", lambda s, d: baselines.cosine_hash(W.planted_groups(s, d), C.HashConfig(G=4, p=1, q=6, K=4, seed=SEED)), fill_sql("planted_groups", top_sql(pairs_sql(f"select rep as grp, code as key, j from ({_COS_CODES})"))))
+add("text_sign_topk", lambda s, d: baselines.text_sign_hash(W.term_doc(s, d), C.HashConfig(p=2, q=10, K=4, seed=SEED)), fill_sql("term_doc", top_sql(pairs_sql(keys_sql(codes_sql(sums_sql("term_doc", 20, "1e0")))))))
+_POP = top_sql(pairs_sql(keys_sql(codes_sql(sums_sql("supp_part", 4)), 1)))
+add(
+    "popular_fill_topk",
+    lambda s, d: band.band_search(W.supp_part(s, d), C.HashConfig(p=1, q=4, K=4, seed=SEED), fill="popular"),
+    f"with im as ({W.DUCK['supp_part']}), tp as ({_POP}), po as (select j as nbr, count(*) as d from im group by j order by d desc, nbr limit 9),"
+    " hv as (select a.j, count(tp.j) as have from (select distinct j from im) a left join tp on a.j = tp.j group by a.j),"
+    " cc as (select hv.j, po.nbr, 0::bigint as freq, row_number() over (partition by hv.j order by d desc, po.nbr) + have as k from hv, po where have < 4 and po.nbr <> hv.j and not exists (select 1 from tp where tp.j = hv.j and tp.nbr = po.nbr))"
+    " select j, nbr, freq, k from tp union all select j, nbr, freq, k from cc where k <= 4",
+)
 
 _PROBS, _PS, _QS = [0.5, 0.8, 0.9, 0.95], [1, 2, 3, 4], [25, 50, 100, 200]
 
@@ -330,7 +360,7 @@ def collision_empirical(s, d):
 def setting(s, d, w: str = "planted_groups"):
     """(entries, neighbours, means, rows, columns, neighbour weights) with hashed starting values."""
     im = W.load_interactions(s, d, w).select("i", "j", "r")
-    top = graph.topk(graph.similarity_graph(im), CFG.K)
+    top = Scratch(s, "setting").keep(graph.topk(graph.similarity_graph(im), CFG.K))
     return im, top, biases.means(im), params.init_rows(im, CFG.F), params.init_cols(im, CFG.F), params.init_neighbours(top, SPREAD)
 
 
@@ -582,10 +612,10 @@ def model_params(s, d):
     return s.createDataFrame(rows, "model string, params long")
 
 
-@query(duck("planted_groups", "select i, j, round(score, 6) + 0e0 as score, place from (select uf.i, vf.j, sum(u * v) as score, row_number() over (partition by uf.i order by sum(u * v) desc, vf.j) as place from uf join vf using (f) where uf.i % 10 = 0 group by uf.i, vf.j) where place <= 3"))
+@query(duck("planted_groups", "select i, j, round(score, 6) + 0e0 as score, place from (select uf.i, vf.j, sum(u * v) as score, row_number() over (partition by uf.i order by sum(u * v) desc, vf.j) as place from uf join vf using (f) where uf.i % 100 = 0 group by uf.i, vf.j) where place <= 3"))
 def recommend_topn(s, d):
     im = W.planted_groups(s, d)
-    rows = params.init_rows(im, CFG.F).where("i % 10 = 0")
+    rows = params.init_rows(im, CFG.F).where("i % 100 = 0")  # the query set of a search: ids divisible by 100, against all columns
     return r6(predict.recommend(rows, params.init_cols(im, CFG.F), 3), "score")
 
 

@@ -16,7 +16,7 @@ class HashConfig:
     psi: str = "square"
     seed: int = 7
     family: str = "portable"  # portable: md5 (same bits in any engine); fast: xxhash64
-    max_bucket: int | None = 1000
+    max_bucket: int | None = 1000  # buckets above it are joined block by block; no pair is lost
 
     @property
     def reps(self) -> int:
@@ -53,6 +53,7 @@ class TrainConfig:
     D: int = 4
     seed: int = 11
     use_bias: bool = True
+    batch_gain: float = 10.0  # minibatch form of the entry-parallel baseline: one averaged step an epoch is taken this much longer
 
     def but(self, **changes) -> "TrainConfig":
         return replace(self, **changes)

@@ -6,10 +6,13 @@ the K columns met most often are the neighbours; columns with fewer get hashed r
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from lowrank_spark.config import HashConfig
+from lowrank_spark.functions.blocks import dealt_sides
 from lowrank_spark.functions.hashing import md5_int, text
 from lowrank_spark.operators import signhash
 from lowrank_spark.runtime import Scratch
@@ -25,28 +28,17 @@ def keys(code_rows: DataFrame, p: int, g: int = 8) -> DataFrame:
     return x.groupBy("j", "grp").agg(key.cast("long").alias("key")).select("grp", "key", "j")
 
 
-def refine(key_rows: DataFrame, max_bucket: int | None) -> DataFrame:
-    """Buckets above max_bucket are split by the column's key of the next group (which a true copy shares as well)."""
-    if max_bucket is None:
-        return key_rows
-    q = key_rows.agg(F.max("grp").alias("last"))
-    nxt = key_rows.crossJoin(F.broadcast(q)).select("j", ((F.col("grp") - 1 + F.col("last") + 1) % (F.col("last") + 1)).alias("grp"), F.col("key").alias("key2"))
-    big = key_rows.groupBy("grp", "key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > max_bucket).select("grp", "key", F.lit(True).alias("big"))
-    x = key_rows.join(big, ["grp", "key"], "left").join(nxt, ["j", "grp"], "left")
-    return x.select("grp", F.when(F.col("big"), F.xxhash64("key", "key2")).otherwise(F.col("key")).alias("key"), "j")
-
-
 def oversized(key_rows: DataFrame, max_bucket: int) -> DataFrame:
     """One row: buckets above the bound, and the pairs in them."""
     n = key_rows.groupBy("grp", "key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > max_bucket)
     return n.agg(F.count(F.lit(1)).alias("buckets"), F.coalesce(F.sum(F.col("n") * (F.col("n") - 1) / 2), F.lit(0.0)).cast("long").alias("pairs"))
 
 
-def pairs(key_rows: DataFrame) -> DataFrame:
-    """(j1, j2, freq), j1 < j2: in how many groups two columns meet."""
-    a = key_rows.select("grp", "key", F.col("j").alias("j1"))
-    b = key_rows.select("grp", "key", F.col("j").alias("j2"))
-    return a.join(b, ["grp", "key"]).where("j1 < j2").groupBy("j1", "j2").agg(F.count(F.lit(1)).alias("freq"))
+def pairs(key_rows: DataFrame, max_bucket: int | None = None) -> DataFrame:
+    """(j1, j2, freq), j1 < j2: in how many groups two columns meet. Buckets above max_bucket are joined block by block."""
+    x, y, on = dealt_sides(key_rows.select("grp", "key", "j"), ["grp", "key"], "j", max_bucket)
+    a, b = x.withColumnRenamed("j", "j1"), y.withColumnRenamed("j", "j2")
+    return a.join(b, on).where("j1 < j2").groupBy("j1", "j2").agg(F.count(F.lit(1)).alias("freq"))
 
 
 def topk(pair_rows: DataFrame, k: int) -> DataFrame:
@@ -56,21 +48,32 @@ def topk(pair_rows: DataFrame, k: int) -> DataFrame:
     return both.withColumn("k", F.row_number().over(w)).where(F.col("k") <= k).select("j", "nbr", "freq", F.col("k").cast("long").alias("k"))
 
 
-def fill_random(top: DataFrame, universe: DataFrame, k: int, seed: int = 7, tries: int | None = None) -> DataFrame:
-    """top completed to k neighbours a column where the universe allows.
+def prime_from(n: int) -> int:
+    """The smallest prime that is at least n (and 2)."""
+    p = max(2, n)
+    while any(p % f == 0 for f in range(2, math.isqrt(p) + 1)):
+        p += 1
+    return p
+
+
+def fill_random(top: DataFrame, universe: DataFrame, k: int, seed: int = 7) -> DataFrame:
+    """top completed to k neighbours a column, or to all others where there are fewer.
 
-    universe: (j, id) with dense ids. Candidate t of column j is the column whose id is a hash of (seed, j, t) modulo
-    their number; the first suitable ones fill up. No random order, no per-row random access: one equi-join on ids.
+    universe: (j, id) with dense ids below n. Column j walks the ids in an order of its own: from a hashed start by a
+    hashed step modulo the smallest prime from n on, which comes past every id once. k + 1 steps and one for each number
+    that is no id are enough, whatever the column already has. No random order, no per-row random access: one equi-join.
     """
     top = Scratch(top.sparkSession, "top").keep(top.select("j", "nbr", "freq", "k"))
     n = universe.count()
-    tries = tries or 2 * k + 8
+    p = prime_from(n)
     have = top.groupBy("j").agg(F.count(F.lit(1)).alias("have"))
     need = universe.select("j").join(have, "j", "left").select("j", F.coalesce("have", F.lit(0)).alias("have")).where(F.col("have") < k)
-    c = need.select("j", "have", F.explode(F.sequence(F.lit(0), F.lit(tries - 1))).alias("t"))
-    c = c.withColumn("id", md5_int(text("fill", seed, F.col("j"), F.col("t")), 14) % max(1, n))
+    draw = lambda what, m: md5_int(text("fill", seed, F.col("j"), what), 14) % m
+    need = need.select("j", "have", draw("start", p).alias("at"), (draw("step", max(1, p - 1)) + 1).alias("by"))
+    c = need.select("j", "have", "at", "by", F.explode(F.sequence(F.lit(0), F.lit(min(p - 1, k + p - n)))).alias("t"))
+    c = c.select("j", "have", "t", ((F.col("at") + F.col("t").cast("long") * F.col("by")) % p).alias("id")).where(F.col("id") < n)
     c = c.join(universe.select(F.col("j").alias("nbr"), "id"), "id").where(F.col("nbr") != F.col("j"))
-    c = c.groupBy("j", "nbr").agg(F.min("t").alias("t"), F.first("have").alias("have")).join(top.select("j", "nbr"), ["j", "nbr"], "left_anti")
+    c = c.join(top.select("j", "nbr"), ["j", "nbr"], "left_anti")
     w = Window.partitionBy("j").orderBy("t")
     c = c.withColumn("k", F.row_number().over(w) + F.col("have")).where(F.col("k") <= k)
     return top.select("j", "nbr", "freq", "k").union(c.select("j", "nbr", F.lit(0).cast("long").alias("freq"), F.col("k").cast("long").alias("k")))
@@ -84,7 +87,7 @@ def universe_of(im: DataFrame) -> DataFrame:
 
 def search_codes(code_rows: DataFrame, cfg: HashConfig) -> DataFrame:
     kept = Scratch(code_rows.sparkSession, "band").keep(keys(code_rows, cfg.p, cfg.G))
-    return topk(pairs(refine(kept, cfg.max_bucket)), cfg.K)
+    return topk(pairs(kept, cfg.max_bucket), cfg.K)
 
 
 def band_search(im: DataFrame, cfg: HashConfig, fill: str = "random") -> DataFrame:

@@ -10,8 +10,11 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from lowrank_spark.config import LAMBDA_RHO
+from lowrank_spark.functions.blocks import dealt_sides
 from lowrank_spark.functions.hashing import md5_int, text
 
+ROW_BLOCK = 4096
+
 
 def _weighted(im: DataFrame, row_cap: int | None) -> DataFrame:
     """im + wt: entries of a row above the cap are kept by hash with weight degree / cap."""
@@ -23,11 +26,11 @@ def _weighted(im: DataFrame, row_cap: int | None) -> DataFrame:
 
 
 def pair_rows(im: DataFrame, row_cap: int | None = None) -> DataFrame:
-    """(j1, j2, x, y, wt) for every row that has both columns, j1 < j2."""
-    a = _weighted(im, row_cap)
-    x = a.select("i", F.col("j").alias("j1"), F.col("r").alias("x"), "wt")
-    y = a.select("i", F.col("j").alias("j2"), F.col("r").alias("y"))
-    return x.join(y, "i").where("j1 < j2").select("j1", "j2", "x", "y", "wt")
+    """(j1, j2, x, y, wt) for every row that has both columns, j1 < j2. Rows above ROW_BLOCK entries are joined block by block."""
+    a, b, on = dealt_sides(_weighted(im, row_cap), ["i"], "j", ROW_BLOCK)
+    x = a.withColumnsRenamed({"j": "j1", "r": "x"})
+    y = b.drop("wt").withColumnsRenamed({"j": "j2", "r": "y"})
+    return x.join(y, on).where("j1 < j2").select("j1", "j2", "x", "y", "wt")
 
 
 def co_counts(im: DataFrame, row_cap: int | None = None) -> DataFrame:

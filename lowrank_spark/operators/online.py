@@ -53,7 +53,9 @@ def online_update(model: train.Model, new_entries: DataFrame, new_top: DataFrame
     old = model.state.select("side", "id")
     state = _new_state(model, new_entries, k)
     known = lambda s: old.where(F.col("side") == s).select("id")
+    # new rows are fitted against columns that have been trained, never against fresh ones
     rows_only = new_entries.join(known("r"), new_entries["i"].cast("string") == F.col("id"), "left_anti")
+    rows_only = rows_only.join(known("c"), rows_only["j"].cast("string") == F.col("id"), "left_semi")
     cols_only = new_entries.join(known("c"), new_entries["j"].cast("string") == F.col("id"), "left_anti")
     top, rated = model.top, model.rated
     if top is not None:

@@ -129,9 +129,10 @@ def accumulate_gathered(im: DataFrame, cfg: HashConfig, out: str = "sums") -> Da
     jt = x.schema["j"].dataType.simpleString()
 
     def emit(js, sums, jtype):
-        m = np.array(sums).reshape(len(js), lanes)
-        v = pa.array(list(m), pa.list_(pa.float64())) if out == "sums" else pa.array(list(pack(m, g)), pa.list_(pa.int64()))
-        return pa.RecordBatch.from_arrays([pa.array(js, jtype), v], names=["j", out])
+        for lo in range(0, len(js), 256):  # a batch of many short columns goes out in slices
+            m = np.array(sums[lo : lo + 256]).reshape(-1, lanes)
+            v = pa.array(list(m), pa.list_(pa.float64())) if out == "sums" else pa.array(list(pack(m, g)), pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([pa.array(js[lo : lo + 256], jtype), v], names=["j", out])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         stream = _stream(seed, lanes)
@@ -153,9 +154,9 @@ def accumulate_gathered(im: DataFrame, cfg: HashConfig, out: str = "sums") -> Da
                         done_s.append(total)
                     now, total = j, s
             if done_j:
-                yield emit(done_j, done_s, jtype)
+                yield from emit(done_j, done_s, jtype)
         if total is not None:
-            yield emit([now], [total], jtype)
+            yield from emit([now], [total], jtype)
 
     return x.repartition("j").sortWithinPartitions("j").mapInArrow(run, f"j {jt}, {out} array<{'double' if out == 'sums' else 'bigint'}>")
 

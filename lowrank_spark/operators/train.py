@@ -22,6 +22,8 @@ from lowrank_spark.functions.hashing import md5_int, text
 from lowrank_spark.operators import biases, kernel, metrics, neigh, params, predict, steps
 from lowrank_spark.runtime import Scratch, ship_package
 
+#: Entries, with the other side's vectors, that one task of the least-squares baseline holds.
+ENTRIES_A_BUCKET = 200_000
 STATE = "side string, id string, bias double, vec array<double>, w array<double>, c array<double>"
 _STATE_ARROW = pa.schema([("side", pa.string()), ("id", pa.string()), ("bias", pa.float64()), ("vec", pa.list_(pa.float64())), ("w", pa.list_(pa.float64())), ("c", pa.list_(pa.float64()))])
 
@@ -141,7 +143,7 @@ def _worker(mu: float, cfg: TrainConfig, t: int, k: int, freeze_rows: bool = Fal
 
 def substep(entries: DataFrame, state: DataFrame, s: int, mu: float, cfg: TrainConfig, t: int, k: int, freeze_rows: bool = False, freeze_cols: bool = False) -> DataFrame:
     d = cfg.D
-    e = entries.where(F.col("rb") == (F.col("cb") + s) % d).withColumn("task", F.col("cb"))
+    e = entries.where(F.col("turn") == s).drop("turn").withColumn("task", F.col("cb"))
     blk = F.when(F.col("side") == "c", block_of("j", F.col("id"), d)).otherwise(F.pmod(block_of("i", F.col("id"), d) - s, F.lit(d)))
     st = state.withColumn("task", blk)
     return e.groupBy("task").cogroup(st.groupBy("task")).applyInArrow(_worker(mu, cfg, t, k, freeze_rows, freeze_cols), STATE)
@@ -150,7 +152,8 @@ def substep(entries: DataFrame, state: DataFrame, s: int, mu: float, cfg: TrainC
 def fit(entries: DataFrame, state: DataFrame, mu: float, cfg: TrainConfig, k: int, freeze_rows: bool = False, freeze_cols: bool = False, watch: Callable[[DataFrame, int], float] | None = None, epochs: int | None = None) -> tuple[DataFrame, list[dict]]:
     spark = entries.sparkSession
     ship_package(spark)
-    entries = Scratch(spark, "entries").keep(entries)
+    # one folder a sub-step: a sub-step reads its own entries and no others
+    entries = Scratch(spark, "entries").keep(entries.withColumn("turn", F.pmod(F.col("rb") - F.col("cb"), F.lit(cfg.D)).cast("int")), ["turn"])
     versions = params.Versions(spark, "state")
     state = versions.commit(state)
     history, began = [], time.perf_counter()
@@ -238,7 +241,8 @@ def entry_sgd(im: DataFrame, cfg: TrainConfig, mode: str = "average", test: Data
     """Entry-parallel descent that ignores who shares rows and columns.
 
     average: entries are dealt at random to D parts, each part runs on copies of the parameters it touches, copies
-    are averaged after each epoch. minibatch: all gradients of an epoch are summed by joins and aggregates.
+    are averaged after each epoch. minibatch: all gradients of an epoch are averaged by joins and
+    aggregates, and the step is `batch_gain` times the rate.
     """
     spark = im.sparkSession
     ship_package(spark)
@@ -264,7 +268,7 @@ def entry_sgd(im: DataFrame, cfg: TrainConfig, mode: str = "average", test: Data
             rows, cols = model.rows(), model.cols()
             x = im.join(rows.select("i", "u"), "i").join(cols.select("j", "v"), "j").withColumn("pred", params.dot("u", "v"))
             err = steps.with_error(x, cfg.loss)
-            many = cfg.but(alpha=type(cfg.alpha)(0, 0, cfg.alpha.u * 10, cfg.alpha.v * 10, 0, 0))
+            many = cfg.but(alpha=type(cfg.alpha)(0, 0, cfg.alpha.u * cfg.batch_gain, cfg.alpha.v * cfg.batch_gain, 0, 0))
             u, v = steps.step_u(err, rows, many, t), steps.step_v(err, cols, many, t)
             none = F.array_repeat(F.lit(0.0), 0)
             state = u.select(F.lit("r").alias("side"), F.col("i").cast("string").alias("id"), F.lit(0.0).alias("bias"), F.col("u").alias("vec"), none.alias("w"), none.alias("c")).union(v.select(F.lit("c"), F.col("j").cast("string"), F.lit(0.0), "v", none, none))
@@ -292,12 +296,16 @@ def _solve_side(im: DataFrame, other: DataFrame, key: str, other_key: str, vec:
     return x.groupBy("task").applyInArrow(run, f"{key} {kt.simpleString()}, {out} array<double>")
 
 
-def als(im: DataFrame, rank: int = 8, reg: float = 0.05, iters: int = 10, weighted: bool = True, buckets: int = 8, test: DataFrame | None = None, target: float | None = None) -> tuple[DataFrame, DataFrame, list[dict]]:
-    """(rows, cols, history) by alternating least squares."""
+def als(im: DataFrame, rank: int = 8, reg: float = 0.05, iters: int = 10, weighted: bool = True, buckets: int | None = None, test: DataFrame | None = None, target: float | None = None) -> tuple[DataFrame, DataFrame, list[dict]]:
+    """(rows, cols, history) by alternating least squares.
+
+    Owners are dealt to buckets of about ENTRIES_A_BUCKET entries (or the number given).
+    """
     spark = im.sparkSession
     ship_package(spark)
     scratch, versions = Scratch(spark, "als"), params.Versions(spark, "als-side", 4)
     im = scratch.keep(im.select("i", "j", "r"))
+    buckets = buckets or max(8, -(-im.count() // ENTRIES_A_BUCKET))
     cols, rows, history, began = params.init_cols(im, rank), None, [], time.perf_counter()
     cols = versions.commit(cols.select("j", F.transform("v", lambda x: x + 0.5).alias("v")))
     for t in range(iters):

@@ -36,9 +36,11 @@ def ship_package(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared checkpoint folder; a folder of our own only where none is set."""
+    """The cluster's shared checkpoint folder; a folder of our own only where none is set and all runs in one process."""
     sc = spark.sparkContext
     named = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir") or getattr(sc, "_lowrank_shared", None)
+    if not named and not (sc.master or "").startswith("local["):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not named:
         named = "file://" + tempfile.mkdtemp(prefix="lowrank_shared_")
         sc._lowrank_shared = named
@@ -61,13 +63,14 @@ class Scratch:
         self.spark = spark
         self.base = f"{shared_dir(spark)}/lowrank-{name}-{uuid.uuid4().hex}"
         self.n = 0
+        spark.sparkContext.__dict__.setdefault("_lowrank_scratch", set()).add(self.base)
 
-    def keep(self, df: DataFrame) -> DataFrame:
-        """Write df, return it as a scan of the written files."""
+    def keep(self, df: DataFrame, by: list[str] | None = None) -> DataFrame:
+        """Write df (in a folder for each value of `by`, few of them), return it as a scan of the written files."""
         self.n += 1
         path = f"{self.base}/t{self.n}"
         schema = df.schema
-        df.write.parquet(path)
+        (df.write.partitionBy(*by) if by else df.write).parquet(path)
         out = self.spark.read.schema(schema).parquet(path)
         out._scratch_path = path
         return out
@@ -78,6 +81,14 @@ class Scratch:
             drop_path(self.spark, path)
 
 
+def clear_scratch(spark: SparkSession) -> int:
+    """Deletes every scratch table of this session; results that are still to be read must have been written before."""
+    bases = spark.sparkContext.__dict__.pop("_lowrank_scratch", set())
+    for b in bases:
+        drop_path(spark, b)
+    return len(bases)
+
+
 def maybe_broadcast(df: DataFrame, rows: int, row_bytes: int) -> DataFrame:
     """Hint a broadcast only if the measured size is below the bound; else leave the join to Catalyst."""
     if rows <= BROADCAST_ROWS and rows * row_bytes <= BROADCAST_BYTES:

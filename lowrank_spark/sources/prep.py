@@ -23,26 +23,30 @@ def rejected(df: DataFrame) -> DataFrame:
     return d.agg(F.sum("n").alias("n_rows"), F.sum("bad").alias("n_bad"), F.coalesce(F.sum(F.when(F.col("bad") == 0, F.col("n") - 1)), F.lit(0)).alias("n_dup"))
 
 
-def index_ids(df: DataFrame, col: str, partitions: int | None = None) -> DataFrame:
-    """(col, id): dense ids in the column's order, without a global window.
+def numbered(df: DataFrame, order: list, name: str, partitions: int | None = None) -> DataFrame:
+    """df + name: places from 0 on in the given order, which must be total, without a global window.
 
-    Values are range-partitioned; a partition's offset is the count before it (one number a partition goes through
-    the driver), and ids run inside partitions.
+    Rows are range-partitioned; a partition's offset is the count before it (one number a partition goes through
+    the driver), and places run inside partitions.
     """
-    spark = df.sparkSession
-    n = partitions or int(spark.conf.get("spark.sql.shuffle.partitions"))
     from lowrank_spark.runtime import Scratch
 
-    vals = df.select(col).where(F.col(col).isNotNull()).distinct().repartitionByRange(n, col).sortWithinPartitions(col)
-    kept = Scratch(spark, "ids").keep(vals.withColumn("_p", F.spark_partition_id()))
+    spark = df.sparkSession
+    n = partitions or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    kept = Scratch(spark, "places").keep(df.repartitionByRange(n, *order).withColumn("_p", F.spark_partition_id()))
     sizes = sorted((r["_p"], r["n"]) for r in kept.groupBy("_p").agg(F.count(F.lit(1)).alias("n")).collect())
     offsets, at = [], 0
     for p, k in sizes:
         offsets.append((p, at))
         at += k
     off = spark.createDataFrame(offsets or [(0, 0)], "_p int, _off long")
-    rn = F.row_number().over(Window.partitionBy("_p").orderBy(col))
-    return kept.join(F.broadcast(off), "_p").select(col, (F.col("_off") + rn - 1).alias("id"))
+    rn = F.row_number().over(Window.partitionBy("_p").orderBy(*order))
+    return kept.join(F.broadcast(off), "_p").withColumn(name, F.col("_off") + rn - 1).drop("_p", "_off")
+
+
+def index_ids(df: DataFrame, col: str, partitions: int | None = None) -> DataFrame:
+    """(col, id): dense ids in the column's order."""
+    return numbered(df.select(col).where(F.col(col).isNotNull()).distinct(), [F.col(col)], "id", partitions).select(col, "id")
 
 
 def lift_zeros(df: DataFrame, to: float = 0.5) -> DataFrame:
@@ -97,13 +101,12 @@ def online_split(df: DataFrame, fi: float = 0.01, fj: float = 0.01) -> tuple[Dat
 def degree_order(df: DataFrame, axis: str = "i", blocks: int = 4) -> DataFrame:
     """(axis, degree, place, block): ids by falling degree, dealt to blocks in turn, back and forth.
 
-    The window runs over one row per id; at scale ids are ordered inside their blocks only.
+    Ids are range-partitioned by degree, so no task sees all of them.
     """
     deg = df.groupBy(axis).agg(F.count(F.lit(1)).alias("degree"))
-    place = F.row_number().over(Window.orderBy(F.col("degree").desc(), axis)) - 1
-    d = deg.withColumn("place", place.cast("long"))
+    d = numbered(deg, [F.col("degree").desc(), F.col(axis)], "place")
     k, lap = F.col("place") % blocks, F.floor(F.col("place") / blocks) % 2
-    return d.withColumn("block", F.when(lap == 0, k).otherwise(blocks - 1 - k).cast("long"))
+    return d.select(axis, "degree", "place", F.when(lap == 0, k).otherwise(blocks - 1 - k).cast("long").alias("block"))
 
 
 def profile(df: DataFrame) -> DataFrame:

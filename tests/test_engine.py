@@ -25,7 +25,7 @@ def duck(sf):
     return c
 
 
-@pytest.mark.parametrize("name", ["exact_topk", "sign_codes_gathered", "band_topk_filled", "predict_blend_init", "batch_step_w", "merge_sums", "online_new_topk", "op_join_asof", "op_join_interval"])
+@pytest.mark.parametrize("name", ["exact_topk", "sign_codes_gathered", "band_topk_filled", "predict_blend_init", "batch_step_w", "merge_sums", "online_new_topk", "op_join_asof", "op_join_interval", "band_topk_dealt", "band_topk_of_few", "random_k", "cosine_hash_topk", "text_sign_topk", "popular_fill_topk", "degree_order", "dense_ids", "recommend_topn", "op_join_nullsafe", "op_agg_collect_sorted"])
 def test_against_sql(spark, sf, duck, name):
     got = catalog.queries()[name](spark, sf)
     cols = sorted(got.columns)
@@ -119,3 +119,29 @@ def test_plans(spark, sf):
 def test_every_query_has_a_form():
     assert set(catalog.oracle_sql()) <= set(catalog.queries()) and len(catalog.queries()) >= 150
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_large_groups_are_dealt_without_loss(spark, sf, monkeypatch):
+    im = W.planted_groups(spark, sf)
+    want = rows(graph.co_counts(im))
+    monkeypatch.setattr(graph, "ROW_BLOCK", 7)
+    assert rows(graph.co_counts(im)) == want
+    keys = spark.createDataFrame([(0, 5, j) for j in range(60)], "grp long, key long, j long")
+    assert band.pairs(keys, 8).count() == band.pairs(keys).count() == 60 * 59 // 2
+
+
+def test_fill_reaches_k_in_small_universes(spark):
+    for n, k in ((33, 32), (40, 32), (12, 8), (5, 9), (2, 1)):
+        top = baselines.random_k(_im(spark, [(1, j, 1.0) for j in range(n)]), k)
+        x = top.groupBy("j").agg(F.count_distinct("nbr").alias("n"), F.count(F.lit(1)).alias("m"), F.max("k").alias("k"))
+        assert {tuple(r) for r in x.select("n", "m", "k").collect()} == {(min(k, n - 1),) * 3} and x.count() == n
+
+
+def test_new_rows_meet_trained_columns_only(spark, monkeypatch):
+    old = _im(spark, [(i, j, 3.0) for i in range(4) for j in range(4)])
+    new = _im(spark, [(9, 1, 4.0), (9, 77, 5.0), (2, 77, 1.0)])
+    m = train.factor_bias_sgd(old, C.BLEND_PRESETS["stars"].but(F=2, epochs=1, D=1))
+    seen, fit = [], train.fit
+    monkeypatch.setattr(train, "fit", lambda e, *a, **k: (seen.append(sorted((r.i, r.j) for r in e.collect())), fit(e, *a, **k))[1])
+    online.online_update(m, new)
+    assert seen == [[("9", "1")], [("2", "77"), ("9", "77")]]

@@ -24,7 +24,7 @@ from pyspark.sql import types as T
 from lowrank_spark.runtime import ship_package
 
 #: Bytes, about, of one generation of a memo; a memo holds two (memos only: results do not depend on them).
-MEMO_BYTES = 16 << 20
+MEMO_BYTES = 64 << 20
 #: Characters that count as white space for some engine; beside a space they rule out the cut at spaces.
 _BLANKS = "\t\n\x0b\x0c\r\x1c\x1d\x1e\x1f\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000 "
 

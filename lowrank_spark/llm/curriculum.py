@@ -21,6 +21,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from lowrank_spark.functions.staging import once
+from lowrank_spark.llm.columns import shield, unshield
 from lowrank_spark.llm.quality_rules import words_of
 from lowrank_spark.runtime import Scratch, maybe_broadcast
 
@@ -127,8 +128,8 @@ def training_order(mixed: DataFrame) -> DataFrame:
 
 def mixing_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The taken copies in training order, with the columns of documents."""
-    mixed = mix(docs, carry=list(docs.columns))
-    return training_order(mixed).select(*docs.columns)
+    d = shield(docs, ("doc_id", "text", "source"))
+    return unshield(training_order(mix(d, carry=list(d.columns))), docs)
 
 
 def op8_mixing(spark, sf_dir: str) -> DataFrame:

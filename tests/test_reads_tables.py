@@ -4,6 +4,7 @@ from lowrank_spark import catalog
 
 #: Queries that Spark must compute from a given table, not from rows made up on the driver.
 NAMES = [
+    "step_sizes",
     "space_table",
     "graph_ops",
     "rotation_plan",

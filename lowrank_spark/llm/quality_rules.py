@@ -98,8 +98,10 @@ def base_counts(docs: DataFrame, text_col: str = "text") -> DataFrame:
 def mark_boilerplate(docs: DataFrame, text_col: str = "text", host_col: str = "source", min_docs: int = MIN_DOCS, share: float = SHARE) -> DataFrame:
     """Adds clean_text (boilerplate lines taken out; null only for a null text) and n_removed_words."""
     spark = docs.sparkSession
-    freq = boilerplate(line_frequencies(docs, text_col, host_col), min_docs, share)
-    listed = Scratch(spark, "lines").keep(freq.groupBy("host").agg(F.collect_list("line").alias("_freq")))
+    scratch = Scratch(spark, "lines")
+    # both sides of the share need the counts: written once, the texts are split and hashed once
+    freq = boilerplate(scratch.keep(line_frequencies(docs, text_col, host_col).where(F.col("n_docs") >= min_docs)), min_docs, share)
+    listed = scratch.keep(freq.groupBy("host").agg(F.collect_list("line").alias("_freq")))
     size = listed.agg(F.count(F.lit(1)), F.sum(F.size("_freq")), F.sum(F.length("host"))).first()
     small = size[0] * 64 + (size[1] or 0) * 8 + (size[2] or 0) * 4 <= BROADCAST_BYTES
     d = docs.withColumn("_host", F.coalesce(F.col(host_col), F.lit("")))

@@ -23,3 +23,12 @@ def test_few_groups_form_no_pairs(spark, monkeypatch):
     codes = spark.createDataFrame([(j, r, 5) for j in range(50) for r in range(4)], "j long, rep long, code long")
     got = band.search_codes(codes, C.HashConfig(p=1, q=4, K=2)).collect()
     assert {(r.j, r.nbr, r.freq, r.k) for r in got if r.j < 3} == {(0, 1, 4, 1), (0, 2, 4, 2), (1, 0, 4, 1), (1, 2, 4, 2), (2, 0, 4, 1), (2, 1, 4, 2)}
+
+
+def test_supplier_sums_are_shuffled_once(spark, sf):
+    """Sums by column over supp_part lie where its rows are already: one exchange in the plan, not three."""
+    from lowrank_spark.operators import signhash
+    from lowrank_spark.sources import interactions as W
+
+    plan = signhash.accumulate(W.supp_part(spark, sf), C.HashConfig(p=1, q=4))._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 1
